@@ -8,6 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from obljoin.llm import langid, toxicity
 from obljoin.llm.bpe import token_digests
 from obljoin.llm.common import table
 from obljoin.llm.exact_dedup import exact_dedup
@@ -16,6 +17,14 @@ from obljoin.llm.simhash import as_hex, simhash_groups
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
 
 
+def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = langid.train(docs, langid.remainder("doc_id", 3) != 1)
+    return langid.identify(docs, model).select(
+        "doc_id", (langid.remainder("doc_id", 3) == 1).alias("held_out"), "lang_pred", "score", "ambiguous"
+    )
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_digests(table(spark, sf_dir, "documents"), RANKS)
 
@@ -28,10 +37,21 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_groups(table(spark, sf_dir, "documents")).select("doc_id", as_hex(F.col("fp")).alias("fingerprint"), "component_id")
 
 
+def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"), langid.remainder("doc_id", 5) != 0)
+    scored = toxicity.score(docs, model)
+    return scored.select(
+        "doc_id", (langid.remainder("doc_id", 5) == 0).alias("held_out"), "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted")
+    )
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_language_id": op2_language_id,
     "op4_byte_bpe": op4_byte_bpe,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_simhash": op7_simhash,
+    "op9_toxicity": op9_toxicity,
 }
 
 ORACLES: dict[str, str] = {

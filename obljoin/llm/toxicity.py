@@ -1,7 +1,7 @@
 """Toxicity by a bag of subwords: embeddings of hashed character n-grams, averaged, into a linear softmax.
 
 A word is the average of the vectors of its n-grams (3 to 6 bytes with its ends marked), a text the
-average of its words, and a softmax over the text's vector gives the probability of label 1. Embeddings and
+average of its words and a few neutral ones, and a softmax over the text's vector gives the probability of label 1. Embeddings and
 softmax are fitted together in numpy, so a misspelling that was never seen shares most vectors with the
 word that was.
 
@@ -33,6 +33,8 @@ SAMPLE = 6000
 BLOCK_BYTES = 1 << 20
 #: Averages over a text are small; this scale keeps the fitted values near one.
 SCALE = 30.0
+#: Every text is averaged with so many neutral words, so that a few odd words do not decide on a short one.
+NEUTRAL_WORDS = 40
 
 #: Bytes as words see them: ASCII letters in lower case, digits and UTF-8 bytes as they are, all else a blank.
 _SEEN = LOWER.copy()
@@ -69,7 +71,7 @@ def _range(starts: np.ndarray, ends: np.ndarray, n: int, size: int) -> tuple[np.
 
 
 def bags(data: np.ndarray, offsets: np.ndarray) -> list[tuple[np.ndarray, np.ndarray]]:
-    """Each text as the buckets that it has and their weights, which sum to 1."""
+    """Each text as the buckets that it has and their weights."""
     held, starts, ends, firsts = words(data, offsets)
     found, count = [], np.zeros(len(starts), np.int64)
     for n, code in grams(held):
@@ -77,7 +79,7 @@ def bags(data: np.ndarray, offsets: np.ndarray) -> list[tuple[np.ndarray, np.nda
         found.append((first, last, code))
         count += last - first
     per_text = np.repeat(np.diff(firsts), np.diff(firsts))
-    weight = 1.0 / (np.maximum(count, 1) * np.maximum(per_text, 1))
+    weight = 1.0 / (np.maximum(count, 1) * (per_text + NEUTRAL_WORDS))
     out = []
     for a, b in zip(firsts.tolist(), firsts.tolist()[1:], strict=False):
         total = np.zeros(1 << BUCKET_BITS)
@@ -104,7 +106,7 @@ class ToxicityModel:
             total += running[last] - running[first]
             count += last - first
         running = np.concatenate([[0.0], np.cumsum(total / np.maximum(count, 1))])
-        return self.bias + (running[firsts[1:]] - running[firsts[:-1]]) / np.maximum(np.diff(firsts), 1)
+        return self.bias + (running[firsts[1:]] - running[firsts[:-1]]) / (np.diff(firsts) + NEUTRAL_WORDS)
 
 
 class _Fit:

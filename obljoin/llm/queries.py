@@ -8,7 +8,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from obljoin.llm import chat, langid, mixing, toxicity
+from obljoin.llm import ann, chat, langid, mixing, toxicity
 from obljoin.llm.bpe import token_digests
 from obljoin.llm.common import table
 from obljoin.llm.exact_dedup import exact_dedup
@@ -17,6 +17,10 @@ from obljoin.llm.simhash import as_hex, simhash_groups
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
 
 
+def op1_adaptive_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = langid.train(docs, langid.remainder("doc_id", 3) != 1)
@@ -60,6 +64,7 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_adaptive_ann": op1_adaptive_ann,
     "op2_language_id": op2_language_id,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_chat_format": op5_chat_format,

@@ -13,6 +13,7 @@ from obljoin.llm.bpe import token_digests
 from obljoin.llm.common import table
 from obljoin.llm.exact_dedup import exact_dedup
 from obljoin.llm.simhash import as_hex, simhash_groups
+from obljoin.llm.suffix_dedup import strip
 
 RANKS = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
 
@@ -63,6 +64,10 @@ def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return strip(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_adaptive_ann": op1_adaptive_ann,
     "op2_language_id": op2_language_id,
@@ -72,6 +77,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_simhash": op7_simhash,
     "op8_mixing": op8_mixing,
     "op9_toxicity": op9_toxicity,
+    "op10_suffix_dedup": op10_suffix_dedup,
 }
 
 ORACLES: dict[str, str] = {

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from obljoin.llm import ann, chat, langid, mixing, toxicity
 from obljoin.llm.bpe import token_digests
+from obljoin.llm.chaining import repeated_passages
 from obljoin.llm.common import table
 from obljoin.llm.exact_dedup import exact_dedup
 from obljoin.llm.simhash import as_hex, simhash_groups
@@ -30,6 +31,10 @@ def op2_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
+def op3_collinear_chaining(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return repeated_passages(table(spark, sf_dir, "documents"))
+
+
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_digests(table(spark, sf_dir, "documents"), RANKS)
 
@@ -71,6 +76,7 @@ def op10_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_adaptive_ann": op1_adaptive_ann,
     "op2_language_id": op2_language_id,
+    "op3_collinear_chaining": op3_collinear_chaining,
     "op4_byte_bpe": op4_byte_bpe,
     "op5_chat_format": op5_chat_format,
     "op6_exact_dedup": op6_exact_dedup,

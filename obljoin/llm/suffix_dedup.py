@@ -62,10 +62,10 @@ def _powers(lane: int, size: int) -> tuple[np.ndarray, np.ndarray]:
 class Hashes:
     """Hashes of any substring of a block, from running sums modulo 2**64."""
 
-    def __init__(self, data: np.ndarray) -> None:
+    def __init__(self, data: np.ndarray, lanes: int = 2) -> None:
         size = 1 << max(12, int(len(data)).bit_length())
         self.sums, self.back = [], []
-        for lane, values in enumerate(_tables()):
+        for lane, values in enumerate(_tables()[:lanes]):
             up, down = _powers(lane, size)
             self.sums.append(np.concatenate([np.zeros(1, np.uint64), np.cumsum(values[data] * up[: len(data)], dtype=np.uint64)]))
             self.back.append(down)

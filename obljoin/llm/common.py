@@ -9,7 +9,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 #: A group with at least 1/HEAVY_PARTS of all rows is heavy; by counting, there are at most HEAVY_PARTS of them.
@@ -65,6 +65,28 @@ def attach(rows: DataFrame, groups: DataFrame, keys: list[str], size: str) -> Da
     return rows.join(heavy, keys).unionByName(rest.join(light, keys))
 
 
+def content_key(text: str = "text") -> Column:
+    return F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit("")))
+
+
+def keep_rows(docs: DataFrame, judged: DataFrame, kept: Column, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
+    """The rows of ``docs`` that ``judged`` (a row each: doc_id, content, ...) marks as ``kept``, with all their columns.
+
+    Rows are found again by id and content; of rows that agree in both, as many stay as are marked.
+    """
+    stay = judged.groupBy(F.col("doc_id").alias("_id"), F.col("content").alias("_content")).agg(F.sum(kept.cast("long")).alias("_stay"), F.count("*").alias("_all"))
+    stay = saved(stay.where("_stay > 0"))
+    marked = docs.withColumn("_key", content_key(text))
+    same = marked[doc_id].eqNullSafe(stay["_id"]) & (marked["_key"] == stay["_content"])
+    joined = marked.join(stay, same)
+    whole = joined.where("_stay = _all")
+    if stay.where("_stay < _all").head(1):  # rows that repeat an id and a text
+        order = Window.partitionBy("_id", "_content").orderBy(*[c for c, t in docs.dtypes if not t.startswith("map")])
+        part = joined.where("_stay < _all").withColumn("_n", F.row_number().over(order)).where("_n <= _stay").drop("_n")
+        whole = whole.unionByName(part)
+    return whole.select(*docs.columns)
+
+
 def key_bitmap(keys: DataFrame, code: Column, bits: int) -> np.ndarray:
     """A filter of 2**bits flags with that of every ``code`` set; its size does not depend on the data.
 

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import LOWER, attach, blocks, in_bitmap, key_bitmap, saved, utf8
+from obljoin.llm.common import LOWER, attach, blocks, content_key, in_bitmap, keep_rows, key_bitmap, saved, utf8
 
 PRIME = 2**31 - 1
 #: Bases of the four lanes; together 124 bits.
@@ -76,7 +76,7 @@ def _keys(lanes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def digests(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", prime: int = PRIME) -> DataFrame:
-    """doc_id, hi, lo (fingerprint), n_bytes and text_sha256 of every normalised text."""
+    """doc_id, content, hi, lo (fingerprint), n_bytes and text_sha256 of every normalised text."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -88,12 +88,12 @@ def digests(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", prime:
             at = offsets.tolist()
             shas = [hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(at, at[1:], strict=False)]
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), pa.array(hi), pa.array(lo), pa.array(np.diff(offsets)), pa.array(shas, pa.string())],
-                names=["doc_id", "hi", "lo", "n_bytes", "text_sha256"],
+                [batch.column(0), batch.column(2), pa.array(hi), pa.array(lo), pa.array(np.diff(offsets)), pa.array(shas, pa.string())],
+                names=["doc_id", "content", "hi", "lo", "n_bytes", "text_sha256"],
             )
 
-    chosen = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"))
-    return chosen.mapInArrow(run, "doc_id long, hi long, lo long, n_bytes long, text_sha256 string")
+    chosen = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), content_key(text).alias("content"))
+    return chosen.mapInArrow(run, "doc_id long, content long, hi long, lo long, n_bytes long, text_sha256 string")
 
 
 def differing(docs: DataFrame, groups: DataFrame, text: str = "text", prime: int = PRIME) -> DataFrame:
@@ -129,7 +129,7 @@ def differing(docs: DataFrame, groups: DataFrame, text: str = "text", prime: int
 
 
 def exact_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", prime: int = PRIME) -> DataFrame:
-    """One row per document: doc_id, keep_id, group_size, kept, text_sha256, n_bytes.
+    """One row per document: doc_id, keep_id, group_size, kept, text_sha256, n_bytes, content.
 
     ``prime`` may be made tiny in tests, to force fingerprints that collide.
     """
@@ -146,5 +146,10 @@ def exact_dedup(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", pri
     best = found.groupBy(*keys).agg(F.count("*").alias("group_size"), F.max(F.struct("doc_id", "row")).alias("best"))
     joined = attach(found, saved(best), keys, "group_size")
     return joined.select(
-        "doc_id", F.col("best.doc_id").alias("keep_id"), "group_size", (F.col("row") == F.col("best.row")).alias("kept"), "text_sha256", "n_bytes"
+        "doc_id", F.col("best.doc_id").alias("keep_id"), "group_size", (F.col("row") == F.col("best.row")).alias("kept"), "text_sha256", "n_bytes", "content"
     )
+
+
+def deduplicated(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
+    """The rows that stay, with all their columns."""
+    return keep_rows(docs, saved(exact_dedup(docs, text, doc_id)), F.col("kept"), text, doc_id)

@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from obljoin.llm.common import BLANK, LOWER, attach, blocks, saved, utf8
+from obljoin.llm.common import BLANK, LOWER, attach, blocks, content_key, keep_rows, saved, utf8
 from obljoin.llm.components import connected_components
 
 SEED = 42
@@ -75,16 +75,17 @@ def simhash_block(data: np.ndarray, offsets: np.ndarray, width: int) -> list[int
 
 
 def fingerprints(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = 3) -> DataFrame:
-    """doc_id, fp long (the 64 bits, signed)."""
+    """doc_id, content, fp long (the 64 bits, signed)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = utf8(batch.column(1))
             data = LOWER[data]
             found = [f for a, b in blocks(offsets, BLOCK_BYTES) for f in simhash_block(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(np.array(found, np.uint64).view(np.int64))], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(np.array(found, np.uint64).view(np.int64))], names=["doc_id", "content", "fp"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    chosen = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), content_key(text).alias("content"))
+    return chosen.mapInArrow(run, "doc_id long, content long, fp long")
 
 
 def cells(fp: Column, segment: int) -> Column:
@@ -123,7 +124,7 @@ def links(fps: DataFrame, max_bits: int = MAX_BITS, segment: int = SEGMENT, cell
 
 
 def simhash_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = 3, max_bits: int = MAX_BITS) -> DataFrame:
-    """One row per document: doc_id, fp, component_id (smallest doc_id reachable), keep (one row per component)."""
+    """One row per document: doc_id, content, fp, component_id (smallest doc_id reachable), keep (one row per component)."""
     found = saved(fingerprints(docs, text, doc_id, width).withColumn("row", F.monotonically_increasing_id()))
     distinct = saved(found.groupBy("fp").agg(F.count("*").alias("n_rows"), F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "row")).alias("best")))
     roots = connected_components(links(distinct, max_bits))
@@ -131,7 +132,12 @@ def simhash_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     merged = saved(nodes.groupBy("root").agg(F.count("*").alias("n_nodes"), F.min("best").alias("first")))
     moved = attach(nodes, merged, ["root"], "n_nodes").select("fp", "first")
     groups = saved(distinct.join(moved, "fp", "left").select("fp", "n_rows", F.coalesce("first", "best").alias("first")))
-    return attach(found, groups, ["fp"], "n_rows").select("doc_id", "fp", F.col("first.doc_id").alias("component_id"), (F.col("first.row") == F.col("row")).alias("keep"))
+    return attach(found, groups, ["fp"], "n_rows").select("doc_id", "content", "fp", F.col("first.doc_id").alias("component_id"), (F.col("first.row") == F.col("row")).alias("keep"))
+
+
+def one_of_each(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", width: int = 3, max_bits: int = MAX_BITS) -> DataFrame:
+    """One row of each component (that of the smallest id), with all its columns."""
+    return keep_rows(docs, saved(simhash_groups(docs, text, doc_id, width, max_bits)), F.col("keep"), text, doc_id)
 
 
 def as_hex(fp: Column) -> Column:

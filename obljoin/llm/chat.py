@@ -75,17 +75,22 @@ def parse(formatted: str) -> Iterator[tuple[str, str, int, int]]:
         at = end + len(after)
 
 
-def jump_tables(nodes: DataFrame) -> list[DataFrame]:
-    """(tree, node, up, score, depth): up is the 2**j-th ancestor; the last table has no ups but those of cycles."""
+def jump_tables(nodes: DataFrame) -> tuple[list[DataFrame], DataFrame]:
+    """Jump tables (tree, node, up), up being the 2**j-th ancestor, and (tree, node, score, depth) summed up to the root.
+
+    A round joins only the messages whose path is not summed to its root yet.
+    """
     known = nodes.select("tree", F.col("node").alias("parent"), F.lit(True).alias("known"))
     start = nodes.join(known, ["tree", "parent"], "left").select("tree", "node", F.when(F.col("known"), F.col("parent")).alias("up"), F.col("score").cast("double"), F.lit(1).cast("long").alias("depth"))
-    tables = [saved(start)]
-    total = tables[0].count()
-    while (1 << (len(tables) - 1)) <= total and tables[-1].where("up is not null").head(1):
-        above = tables[-1].select("tree", F.col("node").alias("up"), F.col("up").alias("next"), F.col("score").alias("more"), F.col("depth").alias("far"))
-        joined = tables[-1].join(above, ["tree", "up"], "left")
-        tables.append(saved(joined.select("tree", "node", F.col("next").alias("up"), (F.col("score") + F.coalesce("more", F.lit(0.0))).alias("score"), (F.col("depth") + F.coalesce("far", F.lit(0))).alias("depth"))))
-    return tables
+    now = saved(start)
+    total, jumps = now.count(), []
+    while (1 << len(jumps)) <= total and now.where("up is not null").head(1):
+        open_ = now.where("up is not null")
+        jumps.append(open_.select("tree", "node", "up"))
+        above = now.select("tree", F.col("node").alias("up"), F.col("up").alias("next"), F.col("score").alias("more"), F.col("depth").alias("far"))
+        moved = open_.join(above, ["tree", "up"]).select("tree", "node", F.col("next").alias("up"), (F.col("score") + F.col("more")).alias("score"), (F.col("depth") + F.col("far")).alias("depth"))
+        now = saved(now.where("up is null").unionByName(moved))
+    return jumps, now.where("up is null").drop("up")  # what is left with an up lies on or below a cycle
 
 
 def best_paths(nodes: DataFrame, branches: int = 1, mean: bool = True) -> DataFrame:
@@ -93,18 +98,16 @@ def best_paths(nodes: DataFrame, branches: int = 1, mean: bool = True) -> DataFr
 
     ``nodes`` has tree, node (unique in its tree), parent and score.
     """
-    tables = jump_tables(nodes)
-    rooted = tables[-1].where("up is null")
+    jumps, rooted = jump_tables(nodes)
     inner = nodes.where("parent is not null").select("tree", F.col("parent").alias("node")).distinct()
     leaves = rooted.join(inner, ["tree", "node"], "left_anti")
     score = F.col("score") / F.col("depth") if mean else F.col("score")
     order = Window.partitionBy("tree").orderBy(F.desc("path_score"), "node")
     ranked = leaves.withColumn("path_score", score).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= branches)
     paths = ranked.select("tree", F.col("node").alias("leaf"), "rank", "path_score", "node")
-    for jump in reversed(tables[:-1] or tables):
-        up = jump.where("up is not null").select("tree", "node", "up")
+    for jump in reversed(jumps):
         paths = saved(paths)
-        paths = paths.unionByName(paths.join(up, ["tree", "node"]).select("tree", "leaf", "rank", "path_score", F.col("up").alias("node")))
+        paths = paths.unionByName(paths.join(jump, ["tree", "node"]).select("tree", "leaf", "rank", "path_score", F.col("up").alias("node")))
     return paths.join(rooted.select("tree", "node", "depth"), ["tree", "node"])
 
 

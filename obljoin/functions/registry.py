@@ -34,7 +34,7 @@ SCALARS: dict[str, tuple[str, tuple[str, ...], dict[str, tuple[str, str]]]] = {
     "fn_array": ("embeddings", ("vec_id",), {
         "n": ("cast(size(embedding) AS BIGINT)", "cast(len(embedding) AS BIGINT)"), "first": ("cast(element_at(embedding, 1) AS DOUBLE)", "cast(embedding[1] AS DOUBLE)"),
         "least": ("cast(sort_array(embedding)[0] AS DOUBLE)", "cast(list_sort(embedding)[1] AS DOUBLE)"), "zero": ("array_contains(embedding, cast(0 AS FLOAT))", "list_contains(embedding, cast(0 AS FLOAT))"),
-        "pos": ("cast(size(filter(transform(embedding, x -> x > 0), x -> x)) AS BIGINT)", "cast(len(list_filter(embedding, x -> x > 0)) AS BIGINT)"),
+        "pos": ("cast(size(filter(transform(embedding, x -> x > 0), x -> x)) AS BIGINT)", "cast(len(list_filter(embedding, lambda x: x > 0)) AS BIGINT)"),
     }),
     "fn_json": ("events", ("event_id",), {
         "k": (f"cast({_K} AS BIGINT)", "cast(json_extract_string(props, '$.k') AS BIGINT)"), "from": ("cast(from_json(props, 'k BIGINT').k AS BIGINT)", "cast(json_extract_string(props, '$.k') AS BIGINT)"),

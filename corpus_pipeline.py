@@ -32,10 +32,9 @@ MIX_SHARE = 0.8
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = langid.train(docs, F.lit(True))
-    whole = docs.select("doc_id", "text", F.struct(*docs.columns).alias("whole"))
-    judged = langid.identify(whole, model, keep=("whole",))
+    judged = langid.identify(docs, model, whole=True)
     fits = (F.col("lang_pred") != langid.UNKNOWN) & (F.col("score") >= REJECT_BELOW)
-    return judged.where(fits).select("whole.*")
+    return judged.where(fits).select("row.*")
 
 
 def exact_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

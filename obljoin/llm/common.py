@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -12,6 +10,9 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from obljoin.operators import physical
+from obljoin.operators.physical import run_settings
+
 #: A group with at least 1/HEAVY_PARTS of all rows is heavy; by counting, there are at most HEAVY_PARTS of them.
 HEAVY_PARTS = 256
 
@@ -28,26 +29,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
-    context = spark.sparkContext
-    found = context._jsc.sc().getCheckpointDir()
-    if found.isDefined():
-        return found.get()
-    configured = context.getConf().get("spark.checkpoint.dir")
-    context.setCheckpointDir(configured or tempfile.mkdtemp(prefix="checkpoints-"))
-    return context._jsc.sc().getCheckpointDir().get()
+#: Rows in an Arrow batch of a materialised step; with the default of 10,000 a worker would hold tens of MB of text several times.
+ARROW_ROWS = "2000"
 
 
 def saved(df: DataFrame) -> DataFrame:
     """Writes ``df`` to the shared folder and reads it again: cuts the lineage and survives lost executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/stage-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    jvm = spark.sparkContext._jvm
-    target = jvm.org.apache.hadoop.fs.Path(path)
-    target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
-    return spark.read.schema(df.schema).parquet(path)
+    with run_settings(df.sparkSession, {"spark.sql.execution.arrow.maxRecordsPerBatch": ARROW_ROWS}):
+        return physical.saved(df)
 
 
 def attach(rows: DataFrame, groups: DataFrame, keys: list[str], size: str) -> DataFrame:

@@ -170,32 +170,33 @@ def train(docs: DataFrame, learn: Column, text: str = "text", lang: str = "lang"
     return fit(np.stack(rows), names) if rows else None
 
 
-def identify(docs: DataFrame, model: LanguageModel | None, text: str = "text", doc_id: str = "doc_id", keep: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id, the columns of ``keep``, lang_pred, score, ambiguous for every whole text."""
+def identify(docs: DataFrame, model: LanguageModel | None, text: str = "text", doc_id: str = "doc_id", whole: bool = False) -> DataFrame:
+    """doc_id (or, with ``whole``, all columns as a struct ``row``), lang_pred, score, ambiguous for every whole text."""
     held = docs.sparkSession.sparkContext.broadcast(model)  # bounded: languages x bits x dimensions
+    body = F.col(text).cast("string")
+    row = F.struct(*docs.columns) if whole else F.struct(F.col(doc_id).alias(doc_id), body.alias(text))
+    at = docs.columns.index(text) if whole else 1
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = held.value
         for batch in batches:
-            data, offsets = utf8(batch.column(0))
+            rows = batch.column(0)
+            data, offsets = utf8(rows.flatten()[at].cast(pa.string()))
             n = len(offsets) - 1
             names, scores, unsure = np.full(n, UNKNOWN, object), np.zeros(n), np.ones(n, bool)
             for a, b in blocks(offsets, BLOCK_BYTES) if model else ():
-                part, at = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
-                best, score, lead = model.decode(features(part, at))
-                some = have_letters(part, at)
+                part, cut = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
+                best, score, lead = model.decode(features(part, cut))
+                some = have_letters(part, cut)
                 names[a:b] = np.where(some, np.array(model.languages, object)[best], UNKNOWN)
                 scores[a:b] = np.where(some, score, 0.0)
                 unsure[a:b] = ~some | (lead < LEAD)
-            yield pa.RecordBatch.from_arrays(
-                [*batch.columns[1:], pa.array(names, pa.string()), pa.array(scores), pa.array(unsure)],
-                names=[*batch.schema.names[1:], "lang_pred", "score", "ambiguous"],
-            )
-
-    kept = [F.col(doc_id).alias("doc_id"), *(F.col(c) for c in keep)]
-    chosen = docs.select(F.col(text).cast("string").alias("_seen"), *kept)
-    columns = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema.fields[1:])
-    return chosen.mapInArrow(run, f"{columns}, lang_pred string, score double, ambiguous boolean")
+            kept = rows if whole else rows.flatten()[0]
+            yield pa.RecordBatch.from_arrays([kept, pa.array(names, pa.string()), pa.array(scores), pa.array(unsure)], names=["row" if whole else "doc_id", "lang_pred", "score", "ambiguous"])
+
+    given = docs.select(row.alias("row"))
+    kind = f"row {given.schema['row'].dataType.simpleString()}" if whole else f"doc_id {docs.schema[doc_id].dataType.simpleString()}"
+    return given.mapInArrow(run, f"{kind}, lang_pred string, score double, ambiguous boolean")
 
 
 def remainder(doc_id: str, of: int) -> Column:

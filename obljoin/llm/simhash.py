@@ -31,8 +31,8 @@ MAX_BITS = 2
 #: Bits per segment of the coarse embedding.
 SEGMENT = 4
 CELL_MOST = 16
-BLOCK_BYTES = 2 << 20
-HASHED_AT_ONCE = 100_000
+BLOCK_BYTES = 512 << 10
+HASHED_AT_ONCE = 50_000
 
 _BITS = np.unpackbits(np.arange(256, dtype=np.uint8)[:, None], axis=1, bitorder="little").astype(np.int64)
 _LANES = np.arange(8) * 256
@@ -80,8 +80,7 @@ def fingerprints(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", wi
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = utf8(batch.column(1))
-            data = LOWER[data]
-            found = [f for a, b in blocks(offsets, BLOCK_BYTES) for f in simhash_block(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], width)]
+            found = [f for a, b in blocks(offsets, BLOCK_BYTES) for f in simhash_block(LOWER[data[offsets[a] : offsets[b]]], offsets[a : b + 1] - offsets[a], width)]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(np.array(found, np.uint64).view(np.int64))], names=["doc_id", "content", "fp"])
 
     chosen = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), content_key(text).alias("content"))

@@ -128,9 +128,10 @@ def _pieces(data: np.ndarray, offsets: np.ndarray) -> Iterator[tuple[np.ndarray,
                 yield held, np.array([0, len(held)]), np.array([a]), np.array([start])
 
 
-def _shas(data: np.ndarray, offsets: np.ndarray) -> list[str]:
+def class_names(data: np.ndarray, offsets: np.ndarray) -> list[bytes]:
+    """What texts are told apart by: the first half of their SHA-256."""
     raw, at = data.tobytes(), offsets.tolist()
-    return [hashlib.sha256(raw[a:b]).hexdigest() for a, b in zip(at, at[1:], strict=False)]
+    return [hashlib.sha256(raw[a:b]).digest()[:16] for a, b in zip(at, at[1:], strict=False)]
 
 
 def _texts(docs: DataFrame, text: str) -> DataFrame:
@@ -138,9 +139,10 @@ def _texts(docs: DataFrame, text: str) -> DataFrame:
 
 
 def document_classes(docs: DataFrame, text: str, doc_id: str) -> DataFrame:
-    """doc_id, class (SHA-256 of the text), n_bytes."""
+    """doc_id, sha (SHA-256 of the text, hex), class (its first half), n_bytes."""
     body = F.coalesce(F.col(text).cast("string"), F.lit(""))
-    return docs.select(F.col(doc_id).alias("doc_id"), F.sha2(body, 256).alias("class"), F.octet_length(body).cast("long").alias("n_bytes"))
+    rows = docs.select(F.col(doc_id).alias("doc_id"), F.sha2(body, 256).alias("sha"), F.octet_length(body).cast("long").alias("n_bytes"))
+    return rows.withColumn("class", F.unhex(F.substring("sha", 1, 32)))
 
 
 def anchor_counts(docs: DataFrame, text: str) -> DataFrame:
@@ -175,31 +177,31 @@ def occurrences(docs: DataFrame, text: str, wanted: np.ndarray) -> DataFrame:
                 first, last, h, owner = first[some], last[some], h[some], owner[some]
                 c1, c2 = (hashes.of(lane, first, last + LENGTH).view(np.int64) for lane in (0, 1))
                 touched, back = np.unique(owner, return_inverse=True)
-                raw = {int(t): hashlib.sha256(data[offsets[rows[t]] : offsets[rows[t] + 1]]).hexdigest() for t in touched}
-                names = pa.DictionaryArray.from_arrays(pa.array(back.astype(np.int32)), pa.array([raw[int(t)] for t in touched], pa.string())).cast(pa.string())
+                raw = {int(t): hashlib.sha256(data[offsets[rows[t]] : offsets[rows[t] + 1]]).digest()[:16] for t in touched}
+                names = pa.DictionaryArray.from_arrays(pa.array(back.astype(np.int32)), pa.array([raw[int(t)] for t in touched], pa.binary())).cast(pa.binary())
                 start = first - at[owner] + begin[owner]
                 columns = [pa.array(h.view(np.int64)), pa.array(c1), pa.array(c2), pa.array((last - first + 1).astype(np.int32)), names, pa.array(start)]
                 yield pa.RecordBatch.from_arrays(columns, names=[*_CONTEXT_KEYS, "class", "start"])
 
-    rows = _texts(docs, text).mapInArrow(run, f"{_CONTEXT}, class string, start long")
+    rows = _texts(docs, text).mapInArrow(run, f"{_CONTEXT}, class binary, start long")
     return rows.groupBy(*_CONTEXT_KEYS, "class", "start").agg(F.count("*").alias("n_texts"))
 
 
 def class_texts(docs: DataFrame, text: str, classes: DataFrame) -> DataFrame:
     """class, text: one row per wanted class; equal texts fold within each map task before the shuffle."""
-    code = F.conv(F.substring("class", 1, 15), 16, 10).cast("long")
+    code = F.conv(F.substring(F.hex("class"), 1, 15), 16, 10).cast("long")
     held = docs.sparkSession.sparkContext.broadcast(key_bitmap(classes, code, FILTER_BITS))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = utf8(batch.column(0))
-            shas = _shas(data, offsets)
-            chosen = np.flatnonzero(in_bitmap(held.value, np.array([int(s[:15], 16) for s in shas], np.int64)))
-            last = dict(zip([shas[i] for i in chosen], chosen.tolist(), strict=True))
+            names = class_names(data, offsets)
+            chosen = np.flatnonzero(in_bitmap(held.value, np.array([int.from_bytes(x[:8], "big") >> 4 for x in names], np.int64)))
+            last = dict(zip([names[i] for i in chosen], chosen.tolist(), strict=True))
             keep = pa.array(sorted(last.values()), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array([shas[i] for i in keep.to_pylist()], pa.string()), batch.column(0).take(keep)], names=["class", "text"])
+            yield pa.RecordBatch.from_arrays([pa.array([names[i] for i in keep.to_pylist()], pa.binary()), batch.column(0).take(keep)], names=["class", "text"])
 
-    return _texts(docs, text).mapInArrow(run, "class string, text string").groupBy("class").agg(F.first("text").alias("text"))
+    return _texts(docs, text).mapInArrow(run, "class binary, text string").groupBy("class").agg(F.first("text").alias("text"))
 
 
 def suffix_array(words: np.ndarray, left: np.ndarray) -> np.ndarray:
@@ -420,11 +422,11 @@ def strip(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", with_text
             columns = [batch.column(0), pa.array(removed, pa.int64()), pa.array(spans_, pa.int64()), pa.array(shas, pa.string()), pa.array(kept, pa.binary())]
             yield pa.RecordBatch.from_arrays(columns, names=["class", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    done = bodies.select("class", "text", "begins", "ends").mapInArrow(run, "class string, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    done = bodies.select("class", "text", "begins", "ends").mapInArrow(run, "class binary, n_removed long, n_spans long, kept_sha256 string, kept binary")
     rows = saved(document_classes(docs, text, doc_id))
     sizes = rows.groupBy("class").agg(F.count("*").alias("n_rows"))
     changed = saved(sizes.join(done, "class", "left"))
     out = attach(rows, changed, ["class"], "n_rows")
     none = F.lit(0).cast("long")
-    columns = ["doc_id", "n_bytes", F.coalesce("n_removed", none).alias("n_removed"), F.coalesce("n_spans", none).alias("n_spans"), F.coalesce("kept_sha256", "class").alias("kept_sha256")]
+    columns = ["doc_id", "n_bytes", F.coalesce("n_removed", none).alias("n_removed"), F.coalesce("n_spans", none).alias("n_spans"), F.coalesce("kept_sha256", "sha").alias("kept_sha256")]
     return out.select(*columns, "kept") if with_text else out.select(*columns)

@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import attach, saved
+from obljoin.llm.common import attach, saved, trimmed
 
 RESULTS = 20
 #: The sample for lists, thresholds and tuning; a bound in rows.
@@ -200,9 +200,9 @@ def search(table: DataFrame, is_query: Column, vec_id: str = "vec_id", embedding
                 kind = pa.list_(pa.struct([("other", pa.string()), ("score", pa.float64())]))
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(limit), pa.array(lists.tolist(), pa.list_(pa.int32())), pa.array(seeds, kind)], names=["class", "v", "reach", "lists", "seeds"])
 
-    placed = saved(classes.select("class", "v").mapInArrow(place, "class string, v array<double>, list int"))
+    placed = saved(classes.select("class", "v").mapInArrow(trimmed(place), "class string, v array<double>, list int"))
     asking = classes.where("n_asks > 0").select("class", "v")
-    probed = saved(asking.mapInArrow(probe, "class string, v array<double>, reach double, lists array<int>, seeds array<struct<other: string, score: double>>"))
+    probed = saved(asking.mapInArrow(trimmed(probe), "class string, v array<double>, reach double, lists array<int>, seeds array<struct<other: string, score: double>>"))
     wide = probed.select("class", "v", "reach", F.explode("lists").alias("list"))
     shapes = placed.groupBy("list").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("nv")).join(
         wide.groupBy("list").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("nq")), "list"

@@ -25,12 +25,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import blocks, utf8
+from obljoin.llm.common import blocks, trimmed, utf8
 
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = 512 << 10
 COLUMNS = 64
-CACHED_PIECES = 400_000
+CACHED_PIECES = 150_000
 CACHED_LENGTH = 64
+#: Pieces of more bytes are merged with a heap.
+LONG_PIECE = 96
 
 #: Symbols of the automaton. BLANKS: a blank before a blank or the end; LAST: any other blank before something
 #: else than a blank; GAP: the same for the plain space; QUOTE1, QUOTE2: an apostrophe before a one-letter or two-letter ending.
@@ -176,10 +178,28 @@ def load_ranks(path: str) -> dict[bytes, int]:
 
 
 def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
-    """Merges the neighbours of lowest rank, leftmost first, until none is known; a heap keeps long pieces at n log n."""
+    """Merges the neighbours of lowest rank, leftmost first, until none is known."""
     if piece in ranks:
         return [ranks[piece]]
     n = len(piece)
+    if n > LONG_PIECE:
+        return _merge_long(piece, ranks)
+    none, get = 1 << 32, ranks.get
+    cuts = list(range(n + 1))  # part i is piece[cuts[i]:cuts[i + 1]]
+    pairs = [get(piece[i : i + 2], none) for i in range(n - 1)]  # of parts i and i + 1
+    while pairs and (least := min(pairs)) < none:
+        i = pairs.index(least)
+        del cuts[i + 1], pairs[i]
+        if i < len(pairs):
+            pairs[i] = get(piece[cuts[i] : cuts[i + 2]], none)
+        if i:
+            pairs[i - 1] = get(piece[cuts[i - 1] : cuts[i + 1]], none)
+    return [ranks[piece[x:y]] for x, y in zip(cuts, cuts[1:], strict=False)]
+
+
+def _merge_long(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
+    """The same by a heap, which keeps long pieces at n log n."""
+    n = len(piece)
     ends, previous, alive = list(range(1, n + 1)), list(range(-1, n - 1)), [True] * n  # of parts by their first byte; a part's follower starts at its end
     heap = [(r, i, i + 2) for i in range(n - 1) if (r := ranks.get(piece[i : i + 2])) is not None]
     heapq.heapify(heap)
@@ -202,16 +222,19 @@ def merge(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
 
 
 class Pieces(dict):
-    """Little-endian ids of each piece seen; emptied when full, so that its memory is bounded."""
+    """Little-endian ids of pieces seen lately, in two generations of bounded size: what is used again moves to the young one."""
 
     def __init__(self, ranks: dict[bytes, int]) -> None:
         super().__init__()
-        self.ranks = ranks
+        self.ranks, self.old = ranks, {}
 
     def __missing__(self, piece: bytes) -> bytes:
-        ids = np.array(merge(piece, self.ranks), "<u4").tobytes()
+        ids = self.old.get(piece)
+        if ids is None:
+            ids = np.array(merge(piece, self.ranks), "<u4").tobytes()
         if len(piece) <= CACHED_LENGTH:
             if len(self) >= CACHED_PIECES:
+                self.old = dict(self)
                 self.clear()
             self[piece] = ids
         return ids
@@ -258,7 +281,7 @@ def _mapped(docs: DataFrame, ranks_path: str, text: str, doc_id: str, schema: st
 
     chosen = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text"))
     kind = docs.schema[doc_id].dataType.simpleString()
-    return chosen.mapInArrow(run, f"doc_id {kind}, {schema}")
+    return chosen.mapInArrow(trimmed(run), f"doc_id {kind}, {schema}")
 
 
 def encode(docs: DataFrame, ranks_path: str, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -284,7 +307,7 @@ def decode(encoded: DataFrame, ranks_path: str, ids: str = "ids", doc_id: str =
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["doc_id", "data"])
 
     kind = encoded.schema[doc_id].dataType.simpleString()
-    return encoded.select(F.col(doc_id).alias("doc_id"), F.col(ids).alias("ids")).mapInArrow(run, f"doc_id {kind}, data binary")
+    return encoded.select(F.col(doc_id).alias("doc_id"), F.col(ids).alias("ids")).mapInArrow(trimmed(run), f"doc_id {kind}, data binary")
 
 
 def token_digests(docs: DataFrame, ranks_path: str, text: str = "text", doc_id: str = "doc_id") -> DataFrame:

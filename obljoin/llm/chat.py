@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import saved
+from obljoin.llm.common import saved, trimmed
 
 #: The control strings of the template.
 CONTROLS = ("<s>", "</s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>", "[ROLE]", "[/ROLE]")
@@ -147,7 +147,7 @@ def conversations(messages: DataFrame, branches: int = 1, mean: bool = True) ->
             yield done()
 
     chosen = ordered.select("tree", "leaf", "rank", "path_score", "role", "text")
-    return chosen.mapInArrow(run, "tree long, leaf long, rank int, path_score double, n_turns long, formatted string, loss_starts array<long>, loss_ends array<long>")
+    return chosen.mapInArrow(trimmed(run), "tree long, leaf long, rank int, path_score double, n_turns long, formatted string, loss_starts array<long>, loss_ends array<long>")
 
 
 def from_turns(table: DataFrame, conv_id: str = "conv_id", turn: str = "turn") -> DataFrame:
@@ -179,4 +179,4 @@ def read_back(formatted: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=names)
 
     chosen = formatted.select("tree", "formatted", "loss_starts", "loss_ends")
-    return chosen.mapInArrow(run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return chosen.mapInArrow(trimmed(run), "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")

@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import LOWER, attach, blocks, content_key, in_bitmap, keep_rows, key_bitmap, saved, utf8
+from obljoin.llm.common import LOWER, attach, blocks, content_key, in_bitmap, keep_rows, key_bitmap, saved, trimmed, utf8
 
 PRIME = 2**31 - 1
 #: Bases of the four lanes; together 124 bits.
@@ -93,7 +93,7 @@ def digests(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", prime:
             )
 
     chosen = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), content_key(text).alias("content"))
-    return chosen.mapInArrow(run, "doc_id long, content long, hi long, lo long, n_bytes long, text_sha256 string")
+    return chosen.mapInArrow(trimmed(run), "doc_id long, content long, hi long, lo long, n_bytes long, text_sha256 string")
 
 
 def differing(docs: DataFrame, groups: DataFrame, text: str = "text", prime: int = PRIME) -> DataFrame:
@@ -123,7 +123,7 @@ def differing(docs: DataFrame, groups: DataFrame, text: str = "text", prime: int
                         names=["hi", "lo", "n_bytes", "part", "piece"],
                     )
 
-    cut = docs.select(F.col(text).cast("string").alias("text")).mapInArrow(run, "hi long, lo long, n_bytes long, part int, piece binary")
+    cut = docs.select(F.col(text).cast("string").alias("text")).mapInArrow(trimmed(run), "hi long, lo long, n_bytes long, part int, piece binary")
     folded = cut.groupBy("hi", "lo", "n_bytes", "part").agg(F.min("piece").alias("least"), F.max("piece").alias("most"))
     return folded.where("least <> most").select("hi", "lo", "n_bytes").distinct()
 

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import LOWER, blocks, utf8
+from obljoin.llm.common import LOWER, blocks, trim, trimmed, utf8
 
 DIMENSIONS = 4096
 SAMPLE = 2400
@@ -162,12 +162,15 @@ def train(docs: DataFrame, learn: Column, text: str = "text", lang: str = "lang"
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array([r.tobytes() for r in rows], pa.binary())], names=["lang", "row"])
 
     got, names, rows = {}, [], []
-    for name, row in chosen.select("lang", "text").repartition(4).mapInArrow(run, "lang string, row binary").sort(F.xxhash64("row")).toLocalIterator():
+    for name, row in chosen.select("lang", "text").repartition(4).mapInArrow(trimmed(run), "lang string, row binary").sort(F.xxhash64("row")).toLocalIterator():
         if got.get(name, 0) < quota:
             got[name] = got.get(name, 0) + 1
             names.append(name)
             rows.append(np.frombuffer(bytes(row), np.float32))
-    return fit(np.stack(rows), names) if rows else None
+    model = fit(np.stack(rows), names) if rows else None
+    del rows
+    trim()
+    return model
 
 
 def identify(docs: DataFrame, model: LanguageModel | None, text: str = "text", doc_id: str = "doc_id", whole: bool = False) -> DataFrame:
@@ -196,7 +199,7 @@ def identify(docs: DataFrame, model: LanguageModel | None, text: str = "text", d
 
     given = docs.select(row.alias("row"))
     kind = f"row {given.schema['row'].dataType.simpleString()}" if whole else f"doc_id {docs.schema[doc_id].dataType.simpleString()}"
-    return given.mapInArrow(run, f"{kind}, lang_pred string, score double, ambiguous boolean")
+    return given.mapInArrow(trimmed(run), f"{kind}, lang_pred string, score double, ambiguous boolean")
 
 
 def remainder(doc_id: str, of: int) -> Column:

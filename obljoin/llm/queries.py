@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from obljoin.llm import ann, chat, langid, mixing, toxicity
 from obljoin.llm.bpe import token_digests
 from obljoin.llm.chaining import repeated_passages
-from obljoin.llm.common import table
+from obljoin.llm.common import saved, table
 from obljoin.llm.exact_dedup import exact_dedup
 from obljoin.llm.simhash import as_hex, simhash_groups
 from obljoin.llm.suffix_dedup import strip
@@ -37,7 +37,7 @@ def op3_collinear_chaining(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return token_digests(table(spark, sf_dir, "documents"), RANKS)
+    return saved(token_digests(table(spark, sf_dir, "documents"), RANKS))
 
 
 def op5_chat_format(spark: SparkSession, sf_dir: str) -> DataFrame:

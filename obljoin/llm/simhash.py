@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from xxhash import xxh64_intdigest
 
-from obljoin.llm.common import BLANK, LOWER, attach, blocks, content_key, keep_rows, saved, utf8
+from obljoin.llm.common import BLANK, LOWER, attach, blocks, content_key, keep_rows, saved, trimmed, utf8
 from obljoin.llm.components import connected_components
 
 SEED = 42
@@ -84,7 +84,7 @@ def fingerprints(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", wi
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(np.array(found, np.uint64).view(np.int64))], names=["doc_id", "content", "fp"])
 
     chosen = docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).cast("string").alias("text"), content_key(text).alias("content"))
-    return chosen.mapInArrow(run, "doc_id long, content long, fp long")
+    return chosen.mapInArrow(trimmed(run), "doc_id long, content long, fp long")
 
 
 def cells(fp: Column, segment: int) -> Column:

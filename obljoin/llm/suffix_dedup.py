@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import attach, blocks, in_bitmap, key_bitmap, saved, utf8
+from obljoin.llm.common import attach, blocks, in_bitmap, key_bitmap, saved, trimmed, utf8
 
 LENGTH = 200
 GRAM = 64
@@ -155,7 +155,7 @@ def anchor_counts(docs: DataFrame, text: str) -> DataFrame:
             h, n = np.unique(np.concatenate(found) if found else np.zeros(0, np.uint64), return_counts=True)
             yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(n)], names=["h", "n"])
 
-    return _texts(docs, text).mapInArrow(run, "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
+    return _texts(docs, text).mapInArrow(trimmed(run), "h long, n long").groupBy("h").agg(F.sum("n").alias("n"))
 
 
 _CONTEXT = "h long, c1 long, c2 long, size int"
@@ -183,7 +183,7 @@ def occurrences(docs: DataFrame, text: str, wanted: np.ndarray) -> DataFrame:
                 columns = [pa.array(h.view(np.int64)), pa.array(c1), pa.array(c2), pa.array((last - first + 1).astype(np.int32)), names, pa.array(start)]
                 yield pa.RecordBatch.from_arrays(columns, names=[*_CONTEXT_KEYS, "class", "start"])
 
-    rows = _texts(docs, text).mapInArrow(run, f"{_CONTEXT}, class binary, start long")
+    rows = _texts(docs, text).mapInArrow(trimmed(run), f"{_CONTEXT}, class binary, start long")
     return rows.groupBy(*_CONTEXT_KEYS, "class", "start").agg(F.count("*").alias("n_texts"))
 
 
@@ -201,7 +201,7 @@ def class_texts(docs: DataFrame, text: str, classes: DataFrame) -> DataFrame:
             keep = pa.array(sorted(last.values()), pa.int64())
             yield pa.RecordBatch.from_arrays([pa.array([names[i] for i in keep.to_pylist()], pa.binary()), batch.column(0).take(keep)], names=["class", "text"])
 
-    return _texts(docs, text).mapInArrow(run, "class binary, text string").groupBy("class").agg(F.first("text").alias("text"))
+    return _texts(docs, text).mapInArrow(trimmed(run), "class binary, text string").groupBy("class").agg(F.first("text").alias("text"))
 
 
 def suffix_array(words: np.ndarray, left: np.ndarray) -> np.ndarray:
@@ -334,7 +334,7 @@ def judge(cut: DataFrame) -> DataFrame:
             yield work(held)
 
     dealt = cut.repartition("h", "shard").sortWithinPartitions("h", "shard")
-    return dealt.select(*_CONTEXT_KEYS, "n_rows", "body", "split", "shard").mapInArrow(run, _JUDGED)
+    return dealt.select(*_CONTEXT_KEYS, "n_rows", "body", "split", "shard").mapInArrow(trimmed(run), _JUDGED)
 
 
 def merge_shards(judged: DataFrame) -> DataFrame:
@@ -353,7 +353,7 @@ def merge_shards(judged: DataFrame) -> DataFrame:
             first = np.searchsorted(keys, keys, side="left")
             yield batch.filter(pa.array(first == np.arange(len(keys))))
 
-    shared = ranged.mapInArrow(run, "digest string")
+    shared = ranged.mapInArrow(trimmed(run), "digest string")
     return rows.join(shared, "digest", "left_semi").select(*_CONTEXT_KEYS, "k")
 
 
@@ -387,7 +387,7 @@ def removal(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> Data
             body = pa.array([raw[a:b] for a, b in zip(begin.tolist(), end.tolist(), strict=True)], pa.binary())
             yield pa.RecordBatch.from_arrays([*(columns[n] for n in names), body], names=[*names, "body"])
 
-    pieces = bodies.mapInArrow(cut, f"{_CONTEXT}, n_rows long, split boolean, shard int, body binary")
+    pieces = bodies.mapInArrow(trimmed(cut), f"{_CONTEXT}, n_rows long, split boolean, shard int, body binary")
     judged = saved(judge(pieces))
     met = merge_shards(judged).select(*_CONTEXT_KEYS, F.array("k").alias("begins"), F.array(F.col("k") + 1).alias("ends"))
     spans = judged.where("size(begins) > 0").select(*_CONTEXT_KEYS, "begins", "ends").unionByName(met)
@@ -422,7 +422,7 @@ def strip(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", with_text
             columns = [batch.column(0), pa.array(removed, pa.int64()), pa.array(spans_, pa.int64()), pa.array(shas, pa.string()), pa.array(kept, pa.binary())]
             yield pa.RecordBatch.from_arrays(columns, names=["class", "n_removed", "n_spans", "kept_sha256", "kept"])
 
-    done = bodies.select("class", "text", "begins", "ends").mapInArrow(run, "class binary, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    done = bodies.select("class", "text", "begins", "ends").mapInArrow(trimmed(run), "class binary, n_removed long, n_spans long, kept_sha256 string, kept binary")
     rows = saved(document_classes(docs, text, doc_id))
     sizes = rows.groupBy("class").agg(F.count("*").alias("n_rows"))
     changed = saved(sizes.join(done, "class", "left"))

@@ -1,4 +1,4 @@
-"""The paper's classes of queries as relations over the given tables.
+"""Classes of join queries as relations over the given tables.
 
 Each relation is a SELECT that Spark and DuckDB both read; ``{table}`` stands for a table. Every relation is a set, integers are BIGINT.
 """

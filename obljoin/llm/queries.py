@@ -92,7 +92,40 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "pipeline": pipeline,
 }
 
+def _shares(level: int, family: str) -> str:
+    """One level of the tree in SQL: children by rising capacity per weight; those whose share exceeds it are full, the others split the rest."""
+    over = f"PARTITION BY {family} " if family else ""
+    keys = ", ".join(("domain", "lang", "source")[:level])
+    budget = f"(SELECT b FROM g{level - 1} AS up WHERE {' AND '.join(f'up.{k} = f{level}.{k}' for k in family.split(', '))})" if family else "(SELECT b FROM g0)"
+    return f"""
+        p{level} AS (SELECT *, {budget} AS b,
+                            coalesce(sum(cap) OVER ({over}ORDER BY cap / w, {keys} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS spent,
+                            sum(w) OVER ({over}ORDER BY cap / w, {keys} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS open_w FROM f{level}),
+        s{level} AS (SELECT *, cap * open_w <= (b - spent) * w AS is_full FROM p{level}),
+        g{level} AS (SELECT {keys}, CASE WHEN is_full THEN cap ELSE (b - sum(CASE WHEN is_full THEN cap ELSE 0 END) OVER ({over})) * w
+                            / sum(CASE WHEN is_full THEN 0 ELSE w END) OVER ({over}) END AS b FROM s{level})"""
+
+
+def mixing_sql() -> str:
+    domains = " ".join(f"WHEN '{d[0]}' THEN {w}" for d, w in mixing.DOMAIN_WEIGHTS.items())
+    languages = " ".join(f"WHEN '{k}' THEN {w}" for k, w in mixing.LANGUAGE_WEIGHTS.items())
+    return f"""
+        WITH d AS (SELECT doc_id, 'domain' || (CAST(regexp_extract(source, '([0-9]+)$', 1) AS INTEGER) % 4) AS domain, lang, source,
+                          len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+')) AS n FROM documents),
+        f3 AS (SELECT domain, lang, source, CAST(sum(n) AS DOUBLE) AS n, CAST(sum(n) * 2 AS DOUBLE) AS cap, CAST(1 AS DOUBLE) AS w FROM d GROUP BY ALL HAVING sum(n) > 0),
+        f2 AS (SELECT domain, lang, sum(cap) AS cap, CAST(CASE lang {languages} ELSE 1 END AS DOUBLE) AS w FROM f3 GROUP BY domain, lang),
+        f1 AS (SELECT domain, sum(cap) AS cap, CAST(CASE domain {domains} ELSE 1 END AS DOUBLE) AS w FROM f2 GROUP BY domain),
+        g0 AS (SELECT least(floor(sum(n) * 6 / 10), sum(cap)) AS b FROM f3), {_shares(1, "")}, {_shares(2, "domain")}, {_shares(3, "domain, lang")},
+        k AS (SELECT domain, lang, source, CAST(floor(g3.b + 1e-6) AS BIGINT) AS given, CAST(f3.n AS BIGINT) AS held FROM g3 JOIN f3 USING (domain, lang, source)),
+        r AS (SELECT d.*, given // held AS whole, given % held AS rest FROM d JOIN k USING (domain, lang, source)),
+        o AS (SELECT *, sum(n) OVER (PARTITION BY domain, lang, source ORDER BY md5('8:' || whole || ':' || doc_id)[1:15], doc_id, n ROWS UNBOUNDED PRECEDING) AS upto FROM r),
+        c AS (SELECT *, whole + CASE WHEN rest > 0 AND upto <= rest THEN 1 ELSE 0 END AS copies FROM o)
+        SELECT doc_id, domain, lang, source, CAST(n AS BIGINT) AS n_tokens, CAST(copies AS BIGINT) AS copies FROM c WHERE copies > 0
+    """
+
+
 ORACLES: dict[str, str] = {
+    "op8_mixing": mixing_sql(),
     "op5_chat_format": r"""
         WITH c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
                    UNION ALL SELECT -7, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -7, 1, 'assistant', '</s>[INST] ok [/INST]'),

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import LOWER, blocks, utf8
+from obljoin.llm.common import LOWER, blocks, trim, trimmed, utf8
 
 BUCKET_BITS = 16
 WIDTH = 8
@@ -117,13 +117,13 @@ class _Fit:
         self.values = [rng.normal(0, 0.1, (1 << BUCKET_BITS, WIDTH)).astype(np.float32), rng.normal(0, 0.3, (WIDTH, 2)).astype(np.float32), np.zeros(2, np.float32)]
         self.first, self.second, self.steps = [np.zeros_like(v) for v in self.values], [np.zeros_like(v) for v in self.values], 0
 
-    def step(self, code: np.ndarray, weight: np.ndarray, bounds: np.ndarray, label: np.ndarray, rate: float) -> None:
+    def step(self, code: np.ndarray, weight: np.ndarray, bounds: np.ndarray, label: np.ndarray, stress: np.ndarray, rate: float) -> None:
         mean = np.add.reduceat(self.values[0][code] * weight[:, None], bounds[:-1], axis=0)
         logits = mean @ self.values[1] + self.values[2]
         pull = np.exp(logits - logits.max(axis=1, keepdims=True))
         pull /= pull.sum(axis=1, keepdims=True)
         pull[np.arange(len(label)), label] -= 1
-        pull /= len(label)
+        pull *= (stress / len(label))[:, None]
         back = np.repeat(pull @ self.values[1].T, np.diff(bounds), axis=0) * weight[:, None]
         into = np.stack([np.bincount(code, back[:, k], 1 << BUCKET_BITS) for k in range(WIDTH)], axis=1).astype(np.float32)
         self.steps += 1
@@ -148,7 +148,7 @@ def threshold(logits: np.ndarray, labels: np.ndarray) -> float:
     return float((best[0] + best[-1]) / 2)
 
 
-def fit(texts: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, seed: int = 11, batch: int = 64, epochs: int = 16, rate: float = 0.02) -> ToxicityModel:
+def fit(texts: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, seed: int = 11, batch: int = 64, epochs: int = 16, least_steps: int = 800, rate: float = 0.02) -> ToxicityModel:
     sizes = np.array([len(c) for c, _ in texts])
     bounds = np.concatenate([[0], np.cumsum(sizes)])
     code = np.concatenate([c for c, _ in texts])
@@ -159,12 +159,15 @@ def fit(texts: list[tuple[np.ndarray, np.ndarray]], labels: np.ndarray, seed: in
         aside = np.zeros(len(texts), bool)
     learn = np.flatnonzero((sizes > 0) & ~aside)
     known = np.bincount(np.concatenate([np.zeros(0, np.uint16), *(code[bounds[i] : bounds[i + 1]] for i in learn)]), minlength=1 << BUCKET_BITS) > 0
+    share = np.bincount(labels[learn], minlength=2) / max(len(learn), 1)
+    stress = (0.5 / np.maximum(share, 0.02))[labels]  # either label weighs the same
+    epochs = max(epochs, -(-least_steps * batch // max(len(learn), 1)))
     for epoch in range(epochs):
         order = rng.permutation(learn)
         for i in range(0, len(order), batch):
             some = order[i : i + batch]
             at = np.repeat(bounds[some] - (np.cumsum(sizes[some]) - sizes[some]), sizes[some]) + np.arange(int(sizes[some].sum()))
-            fitted.step(code[at], weight[at] * SCALE, np.concatenate([[0], np.cumsum(sizes[some])]), labels[some], rate * (1 - epoch / epochs))
+            fitted.step(code[at], weight[at] * SCALE, np.concatenate([[0], np.cumsum(sizes[some])]), labels[some], stress[some], rate * (1 - epoch / epochs))
     model = fitted.model(known)
     running = np.concatenate([[0.0], np.cumsum(model.buckets[code] * weight, dtype=np.float64)])
     logits = model.bias + running[bounds[1:]] - running[bounds[:-1]]
@@ -189,13 +192,16 @@ def train(docs: DataFrame, labels: DataFrame, learn: Column, text: str = "text",
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), batch.column(1).slice(a, b - a), *columns], names=["order", "label", "code", "weight"])
 
     texts = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text"))
-    rows = texts.join(wanted, "doc_id").select("order", "label", "text").mapInArrow(run, "order long, label int, code binary, weight binary")
+    rows = texts.join(wanted, "doc_id").select("order", "label", "text").mapInArrow(trimmed(run), "order long, label int, code binary, weight binary")
     got = [(r.order, r.label, np.frombuffer(bytes(r.code), np.uint16), np.frombuffer(bytes(r.weight), np.float32)) for r in rows.toLocalIterator()]
     if not got:
         return None
     got.sort(key=lambda r: (r[0], r[1], r[2].tobytes()))
     got = got[: 2 * sample]  # rows that repeat an id
-    return fit([(c, w) for _, _, c, w in got], np.array([r[1] for r in got], np.int64))
+    model = fit([(c, w) for _, _, c, w in got], np.array([r[1] for r in got], np.int64))
+    del got
+    trim()
+    return model
 
 
 def score(docs: DataFrame, model: ToxicityModel | None, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -213,4 +219,4 @@ def score(docs: DataFrame, model: ToxicityModel | None, text: str = "text", doc_
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out)], names=["doc_id", "score"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
-    return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(run, f"doc_id {kind}, score double")
+    return docs.select(F.col(doc_id).alias("doc_id"), F.col(text).cast("string").alias("text")).mapInArrow(trimmed(run), f"doc_id {kind}, score double")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -35,9 +36,7 @@ def _instance(work: Workload, spark: SparkSession, sf_dir: str, mode: str) -> tu
     held = work.instance(engine_for(spark, 1, mode), sf_dir)
     limit = bound(work.query, sizes(held))
     engine = engine_for(spark, min(limit, 1 << 24), mode)
-    for t in held.values():
-        object.__setattr__(t, "engine", engine)
-    return held, limit
+    return {n: replace(t, engine=engine) for n, t in held.items()}, limit
 
 
 def _ordered(df: DataFrame, work: Workload) -> DataFrame:
@@ -96,7 +95,7 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     for w in ("w4b", "w4c"):
         add(f"tri_choice_hidden_{w}", w, method(w, "hidden", _triangle(triangle_choice)))
         add(f"tri_delay_hidden_{w}", w, method(w, "hidden", _triangle(triangle_delay)))
-    for w in ("w1", "w3", "w4b", "w7u", "w8b", "w10", "w11", "w17", "w18", "w20"):
+    for w in ("w1", "w2", "w3", "w4b", "w7u", "w8b", "w10", "w11", "w16", "w17", "w18", "w19", "w20"):
         add(f"wcoj_single_{w}", w, method(w, "padded", _wcoj(j="single")))
     for w in ("w1", "w4b", "w7u", "w10", "w11"):
         add(f"wcoj_pair_{w}", w, method(w, "padded", _wcoj(j="pair")))
@@ -118,7 +117,7 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
         add(f"bounded_join_{w}", w, method(w, "padded", _two))
     for w in ("w15a", "w15b"):
         add(f"bounded_join_hidden_{w}", w, method(w, "hidden", _two))
-    for w in ("w14", "w18"):
+    for w in ("w14", "w18", "w22"):
         add(f"nested_loop_{w}", w, method(w, "padded", lambda work, held, limit: nested_loop(*held.values())))
         add(f"nested_loop_tiled_{w}", w, method(w, "padded", lambda work, held, limit: nested_loop(*held.values(), tiling="recursive", tile=1 << 16)))
     for w in ("w1", "w2", "w3", "w4"):

@@ -196,3 +196,26 @@ def test_masks_and_padding_keep_sizes(spark):
     padded = baselines.pad_only(engine, reveal(t), 20)
     assert padded.rows == 20 and len(real(padded)) == 9
     assert real(surface.with_column(cut, "c", F.col("a") * 2)) == [(7, 1, 14)]
+
+
+def test_public_shapes_do_not_depend_on_the_data(spark):
+    """The recorded sizes of all steps are the same for different instances of one size."""
+    seen = []
+    for seed in (11, 12):
+        _, held, engine = setup(spark, TRIANGLE, seed)
+        triangle_choice(*(held[n] for n in ("R1", "R2", "R3")))
+        hidden_wcoj(TRIANGLE, held)
+        seen.append(engine.steps)
+    assert seen[0] == seen[1] and ("bounded_join", triangle_tau(*(held[n] for n in ("R1", "R2", "R3")))) in seen[0]
+
+
+def test_interval_and_outer_joins(spark):
+    engine = Engine(spark, "padded", 2)
+    points = load(engine, spark.createDataFrame([(i,) for i in range(6)], "p long"), ["p"])
+    spans = load(engine, spark.createDataFrame([(0, 2, "x"), (1, 4, "y")], "a long, b long, n string"), ["a", "b", "n"])
+    got = surface.interval_join(points, spans, "p", "a", "b", 10)
+    assert [(r[0], r[3]) for r in real(got)] == [(0, "x"), (1, "x"), (1, "y"), (2, "y"), (3, "y")]
+    r = load(engine, spark.createDataFrame([(1, 1), (2, 2)], "k long, a long"), ["k", "a"])
+    s = load(engine, spark.createDataFrame([(2, 5), (3, 6)], "k long, b long"), ["k", "b"])
+    rows = {h: sorted(str(tuple(x)) for x in reveal(surface.outer_join(r, s, 4, h)).collect()) for h in ("left", "right", "full")}
+    assert rows["left"] == ["(1, 1, None)", "(2, 2, 5)"] and rows["right"] == ["(2, 2, 5)", "(3, None, 6)"] and len(rows["full"]) == 3

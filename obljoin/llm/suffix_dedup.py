@@ -7,7 +7,8 @@ collapsed to one with a multiplicity. The rest are dealt to shards by anchor; a
 by Larsson-Sadakane refinement (only groups that are still tied are sorted again, with doubled depth) and Kasai's
 common prefixes, run side by side over all contexts. Runs with a common prefix of LENGTH are classes of
 equal windows, and a class of multiplicity two or more is repeated. An anchor with very many different
-contexts is split over several shards; their windows then meet as sorted digests, merged by binary search.
+contexts is split over several shards; their different windows, repeated or not, then meet as sorted digests, merged by
+binary search.
 
 Texts move only if they may hold something repeated, once per distinct text. Filters of fixed size spare traffic; joins
 after them are exact.
@@ -304,16 +305,27 @@ _JUDGED = f"{_CONTEXT}, begins array<int>, ends array<int>, digests array<string
 
 
 def judge(cut: DataFrame) -> DataFrame:
-    """Suffix arrays over the contexts of each anchor: spans of repeated windows, and for split anchors a digest of every other window."""
+    """Suffix arrays over the contexts of each anchor: spans of repeated windows, and for split anchors a digest of every different window.
+
+    Windows that are not yet known to be repeated have their number before the digest, the others -1.
+    """
 
     def work(rows: list[tuple]) -> pa.RecordBatch:
         flags = repeated_windows([r[5] for r in rows], np.array([r[4] for r in rows], np.float64))
-        begins, ends, digests = [], [], []
+        begins, ends, digests, told = [], [], [], set()
         for row, flag in zip(rows, flags, strict=True):
             b, e = _spans(flag)
             begins.append(b)
             ends.append(e)
-            digests.append([f"{k}:{hashlib.md5(row[5][k : k + LENGTH]).hexdigest()}" for k in np.flatnonzero(~flag).tolist()] if row[6] else [])
+            own = []
+            for k, known in enumerate(flag.tolist() if row[6] else ()):
+                digest = hashlib.md5(row[5][k : k + LENGTH]).hexdigest()
+                if not known:
+                    own.append(f"{k}:{digest}")
+                elif digest not in told:  # once is enough for the other shards to meet it
+                    told.add(digest)
+                    own.append(f"-1:{digest}")
+            digests.append(own)
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32())
         columns = [pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)]
         columns += [pa.array(begins, pa.list_(pa.int32())), pa.array(ends, pa.list_(pa.int32())), pa.array(digests, pa.list_(pa.string()))]
@@ -338,9 +350,9 @@ def judge(cut: DataFrame) -> DataFrame:
 
 
 def merge_shards(judged: DataFrame) -> DataFrame:
-    """Windows of split anchors that another shard has too: context keys and window number.
+    """Windows of split anchors that only another shard shows to be repeated: context keys and window number.
 
-    The digests are dealt by range and sorted; a binary search for either end of each digest's run tells how often it occurs.
+    A digest comes once from each block of shards judged together. The digests are dealt by range and sorted; a binary search for either end of each digest's run tells how often it occurs.
     """
     each = judged.where("size(digests) > 0").select(*_CONTEXT_KEYS, F.explode("digests").alias("d"))
     rows = each.select(*_CONTEXT_KEYS, F.substring_index("d", ":", 1).cast("int").alias("k"), F.substring_index("d", ":", -1).alias("digest"))
@@ -354,7 +366,7 @@ def merge_shards(judged: DataFrame) -> DataFrame:
             yield batch.filter(pa.array(first == np.arange(len(keys))))
 
     shared = ranged.mapInArrow(trimmed(run), "digest string")
-    return rows.join(shared, "digest", "left_semi").select(*_CONTEXT_KEYS, "k")
+    return rows.where("k >= 0").join(shared, "digest", "left_semi").select(*_CONTEXT_KEYS, "k")
 
 
 def removal(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:

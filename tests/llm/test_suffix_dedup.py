@@ -57,6 +57,24 @@ def test_split_anchors_and_pieces(spark, monkeypatch):
     assert run(spark, texts) == brute(texts)
 
 
+def test_shards_tell_each_other_of_repeated_windows(spark, monkeypatch):
+    """Each shard judged alone: what is repeated in one of them stands once in another, or as a context of two texts."""
+    monkeypatch.setattr(suffix_dedup, "SHARD_CONTEXTS", 2)
+    monkeypatch.setattr(suffix_dedup, "SHARD_BYTES", 1)
+    rng = random.Random(5)
+    noise = lambda n: "".join(rng.choice("abcdefgh ") for _ in range(n))
+    common, part = noise(150), noise(120)
+    texts = [noise(90) + common + noise(90) for _ in range(30)]
+    texts += [noise(90) + common + part + noise(90) for _ in range(3)]
+    texts += [noise(90) + common + noise(90)] * 2 + [noise(20) + texts[3][60:300] + noise(20), noise(20) + texts[-1][60:300] + noise(20)]
+    coalesced = spark.conf.get("spark.sql.adaptive.coalescePartitions.enabled")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        assert run(spark, texts) == brute(texts)
+    finally:
+        spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", coalesced)
+
+
 def test_long_text_in_pieces(monkeypatch):
     monkeypatch.setattr(suffix_dedup, "PIECE", 300)
     monkeypatch.setattr(suffix_dedup, "BLOCK_BYTES", 256)

@@ -6,22 +6,26 @@ block the partial distance, scaled to all dimensions, is tested against the best
 candidate that is too far with high confidence is abandoned. Survivors are scored exactly, in double
 precision, on the original vectors.
 
-Lists come from k-means on a bounded sample; every row is in a list. The number of probed lists is tuned on that sample. Equal
-vectors are one class with its RESULTS + 1 smallest ids, which is all that can ever be among the results. Large lists are
-dealt in blocks of vectors and of queries, so no task holds a whole list.
+Lists come from k-means on a bounded sample; every row is in a list. The number of probed lists is tuned on that sample, whose
+vectors in these lists also give each query its first limit; results come from the scan of the lists alone. A query that
+finds too few there scans all lists without abandoning. Equal vectors are one class with its RESULTS + 1 smallest
+ids, which is all that can ever be among the results. Large lists are dealt in blocks of vectors and of queries, so no
+task holds a whole list.
 
 Defined results: null vectors, zero vectors, those with null or non-finite components, of another length than
 most, or with a null id take no part; ties of score fall to the smaller id; rows that repeat an id and a vector count
-once; with fewer candidates than asked, all are returned; an empty table gives no rows.
+once, and of different vectors of one id only that with the least digest takes part; with fewer candidates than asked, all
+are returned; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -31,6 +35,7 @@ RESULTS = 20
 #: The sample for lists, thresholds and tuning; a bound in rows.
 SAMPLE = 16_000
 LIST_ROWS = 2048
+FEWEST_LISTS = 8
 MOST_LISTS = 4096
 BLOCK_ROWS = 4096
 COLUMN_BLOCK = 16
@@ -53,7 +58,7 @@ class Index:
     rotation: np.ndarray
     centres: np.ndarray  # rotated
     sample: np.ndarray  # original
-    sample_class: np.ndarray
+    sample_list: np.ndarray  # the list of each vector of the sample
     probes: int
 
     def lengthened(self, rows: np.ndarray) -> np.ndarray:
@@ -68,22 +73,22 @@ class Index:
         return np.einsum("nd,nd->n", self.centres, self.centres)[None] - 2 * rotated @ self.centres.T
 
 
-def build(rows: np.ndarray, classes: np.ndarray, longest: float, total: int, seed: int = 5, rounds: int = 10) -> Index:
+def build(rows: np.ndarray, longest: float, total: int, seed: int = 5, rounds: int = 10) -> Index:
     rng = np.random.default_rng(seed)
     width = rows.shape[1] + 1
     rotation = np.linalg.qr(rng.normal(size=(width, width)))[0]
-    index = Index(longest, rotation, np.zeros((0, width), np.float32), rows, classes, 1)
+    index = Index(longest, rotation, np.zeros((0, width), np.float32), rows, np.zeros(0, np.int64), 1)
     points = index.rotated(rows)
-    lists = int(np.clip(total // LIST_ROWS, 1, min(MOST_LISTS, len(rows))))
+    lists = int(np.clip(total // LIST_ROWS, FEWEST_LISTS, MOST_LISTS))
+    lists = min(lists, len(rows))
     centres = points[rng.choice(len(points), lists, replace=False)].copy()
     for _ in range(rounds):
-        index = Index(longest, rotation, centres, rows, classes, 1)
-        nearest = index.to_centres(points).argmin(axis=1)
+        nearest = replace(index, centres=centres).to_centres(points).argmin(axis=1)
         sums = np.zeros_like(centres)
         np.add.at(sums, nearest, points)
         count = np.bincount(nearest, minlength=lists)
         centres = np.where(count[:, None] > 0, sums / np.maximum(count, 1)[:, None], centres).astype(np.float32)
-    index = Index(longest, rotation, centres, rows, classes, 1)
+    index = replace(index, centres=centres)
     nearest = index.to_centres(points).argmin(axis=1)
     asked = rng.choice(len(rows), min(200, len(rows)), replace=False)
     products = rows[asked] @ rows.T
@@ -95,7 +100,7 @@ def build(rows: np.ndarray, classes: np.ndarray, longest: float, total: int, see
         place = index.to_centres(index.rotated(rows[asked], True)).argsort(axis=1).argsort(axis=1)
         needed = np.sort(np.take_along_axis(place, nearest[best], axis=1).ravel())
         probes = int(needed[min(len(needed) - 1, int(np.ceil(TUNED_RECALL * len(needed))))]) + 1
-    return Index(longest, rotation, centres, rows, classes, probes)
+    return replace(index, sample_list=nearest, probes=probes)
 
 
 def _best(query: np.ndarray, product: np.ndarray, k: int) -> np.ndarray:
@@ -162,21 +167,24 @@ def search(table: DataFrame, is_query: Column, vec_id: str = "vec_id", embedding
     """query_id, rank, vec_id, score: the k candidates of largest inner product for every row where ``is_query`` holds."""
     spark = table.sparkSession
     schema = "query_id long, rank int, vec_id long, score double"
-    rows = table.select(F.col(vec_id).cast("long").alias("id"), F.col(embedding).cast("array<double>").alias("v"), is_query.alias("asks")).where(F.col("id").isNotNull() & usable(F.col("v")))
+    rows = table.select(F.col(vec_id).cast("long").alias("id"), F.col(embedding).cast("array<double>").alias("v"), F.coalesce(is_query, F.lit(False)).alias("asks")).where(F.col("id").isNotNull() & usable(F.col("v")))
     sizes = rows.groupBy(F.size("v").alias("n")).count().orderBy(F.desc("count"), "n").first()
     if sizes is None:
         return spark.createDataFrame([], schema)
     rows = saved(rows.where(F.size("v") == sizes.n).withColumn("class", F.sha2(F.concat_ws(",", F.col("v").cast("array<string>")), 256)))
+    owners = rows.groupBy("id").agg(F.min(F.struct("class", ~F.col("asks"))).alias("one")).select("id", "one.class", (~F.col("one.col2")).alias("asks"))
+    owners = saved(owners)
     few = Window.partitionBy("class", F.pmod(F.xxhash64("id"), F.lit(64))).orderBy("id")
     fewer = Window.partitionBy("class").orderBy("id")
-    ids = rows.select("class", "id").distinct().withColumn("n", F.row_number().over(few)).where(F.col("n") <= k + 1)
+    ids = owners.select("class", "id").withColumn("n", F.row_number().over(few)).where(F.col("n") <= k + 1)
     ids = ids.withColumn("n", F.row_number().over(fewer)).where(F.col("n") <= k + 1).groupBy("class").agg(F.sort_array(F.collect_list("id")).alias("ids"))
-    bodies = rows.groupBy("class").agg(F.first("v").alias("v"), F.sum(F.col("asks").cast("int")).alias("n_asks"), F.count("*").alias("n_rows"))
-    classes = saved(bodies.join(ids, "class"))
+    asks = owners.groupBy("class").agg(F.sum(F.col("asks").cast("int")).alias("n_asks"))
+    bodies = rows.groupBy("class").agg(F.first("v").alias("v"))
+    classes = saved(bodies.join(ids, "class").join(asks, "class"))
     norm = F.aggregate("v", F.lit(0.0), lambda s, x: s + x * x)
     total, longest = classes.agg(F.count("*"), F.max(norm)).first()
-    taken = classes.orderBy(F.xxhash64("class"), "class").limit(SAMPLE).select("class", "v").toArrow()
-    index = build(_matrix(taken["v"]), np.array(taken["class"].to_pylist()), float(longest), total)
+    taken = classes.orderBy(F.xxhash64("class"), "class").limit(SAMPLE).select("v").toArrow()
+    index = build(_matrix(taken["v"]), float(longest), total)
     held = spark.sparkContext.broadcast(index)
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -186,23 +194,43 @@ def search(table: DataFrame, is_query: Column, vec_id: str = "vec_id", embedding
 
     def probe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         index = held.value
-        most = min(k + 1, len(index.sample))
         for batch in batches:
             for a in range(0, len(batch), 512):
                 part = batch.slice(a, 512)
                 v = _matrix(part.column(1))
-                products = v @ index.sample.T
-                best = np.argpartition(-products, most - 1, axis=1)[:, :most] if most < products.shape[1] else np.tile(np.arange(products.shape[1]), (len(v), 1))
-                worst = np.take_along_axis(products, best, axis=1).min(axis=1)
-                limit = np.einsum("nd,nd->n", v, v) + index.longest - 2 * worst if most == k + 1 else np.full(len(v), np.inf)
                 lists = np.argsort(index.to_centres(index.rotated(v, True)), axis=1, kind="stable")[:, : index.probes].astype(np.int32)
-                seeds = [[{"other": str(index.sample_class[j]), "score": float(products[i, j])} for j in best[i]] for i in range(len(v))]
-                kind = pa.list_(pa.struct([("other", pa.string()), ("score", pa.float64())]))
-                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(limit), pa.array(lists.tolist(), pa.list_(pa.int32())), pa.array(seeds, kind)], names=["class", "v", "reach", "lists", "seeds"])
+                probed = np.zeros((len(v), len(index.centres)), bool)
+                np.put_along_axis(probed, lists, True, axis=1)
+                near = np.where(probed[:, index.sample_list], v @ index.sample.T, -np.inf)
+                worst = np.partition(near, -(k + 1), axis=1)[:, -(k + 1)] if near.shape[1] > k else np.full(len(v), -np.inf)
+                limit = np.einsum("nd,nd->n", v, v) + index.longest - 2 * worst  # infinite where the sample has too few
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array(limit), pa.array(lists.tolist(), pa.list_(pa.int32()))], names=["class", "v", "reach", "lists"])
 
     placed = saved(classes.select("class", "v").mapInArrow(trimmed(place), "class string, v array<double>, list int"))
     asking = classes.where("n_asks > 0").select("class", "v")
-    probed = saved(asking.mapInArrow(trimmed(probe), "class string, v array<double>, reach double, lists array<int>, seeds array<struct<other: string, score: double>>"))
+    probed = saved(asking.mapInArrow(trimmed(probe), "class string, v array<double>, reach double, lists array<int>"))
+    found = saved(_scanned(placed, probed, held, k))
+    counts = found.groupBy("class").agg(F.count("*").alias("n_found"))
+    short = saved(asking.join(counts, "class", "left").where(F.coalesce("n_found", F.lit(0)) < min(k + 1, total)).select("class", "v"))
+    if short.head(1):
+        everywhere = short.withColumns({"reach": F.lit(float("inf")), "lists": F.sequence(F.lit(0), F.lit(len(index.centres) - 1))})
+        found = found.join(short.select("class"), "class", "left_anti").unionByName(_scanned(placed, everywhere, held, k))
+    named = found.join(classes.select(F.col("class").alias("other"), "ids"), "other").withColumn("first", F.element_at("ids", 1))
+    best = Window.partitionBy("class").orderBy(F.desc("score"), "first")
+    top = named.withColumn("n", F.row_number().over(best)).where(F.col("n") <= k + 1).select("class", "score", F.explode("ids").alias("vec_id"))
+    each = Window.partitionBy("class").orderBy(F.desc("score"), "vec_id")
+    top = top.withColumn("n", F.row_number().over(each)).where(F.col("n") <= k + 1)
+    packed = top.groupBy("class").agg(F.array_sort(F.collect_list(F.struct("n", "vec_id", "score"))).alias("found"))
+    members = owners.where("asks").select("class", F.col("id").alias("query_id"))
+    sized = members.groupBy("class").agg(F.count("*").alias("n_members")).join(packed, "class")
+    answers = attach(members, saved(sized), ["class"], "n_members")
+    own = F.filter("found", lambda x: x["vec_id"] != F.col("query_id"))
+    out = answers.select("query_id", F.posexplode(F.slice(own, 1, k)).alias("at", "hit"))
+    return out.select("query_id", (F.col("at") + 1).cast("int").alias("rank"), "hit.vec_id", "hit.score")
+
+
+def _scanned(placed: DataFrame, probed: DataFrame, held: Broadcast, k: int) -> DataFrame:
+    """class, other, score: what each query finds in its lists, k + 1 from each block of a list."""
     wide = probed.select("class", "v", "reach", F.explode("lists").alias("list"))
     shapes = placed.groupBy("list").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("nv")).join(
         wide.groupBy("list").agg(F.ceil(F.count("*") / BLOCK_ROWS).cast("int").alias("nq")), "list"
@@ -221,22 +249,7 @@ def search(table: DataFrame, is_query: Column, vec_id: str = "vec_id", embedding
         return pa.table({"class": queries["class"].take(pa.array(q)), "other": vectors["class"].take(pa.array(v)), "score": pa.array(p)})
 
     keys = ["list", "bv", "bq"]
-    met = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(meet, "class string, other string, score double")
-    seeds = probed.select("class", F.explode("seeds").alias("s")).select("class", "s.other", "s.score")
-    # one value per pair: the same sum of products in the same order
-    pairs = met.unionByName(seeds).groupBy("class", "other").agg(F.max("score").alias("score"))
-    named = pairs.join(classes.select(F.col("class").alias("other"), "ids"), "other").withColumn("first", F.element_at("ids", 1))
-    best = Window.partitionBy("class").orderBy(F.desc("score"), "first")
-    top = named.withColumn("n", F.row_number().over(best)).where(F.col("n") <= k + 1).select("class", "score", F.explode("ids").alias("vec_id"))
-    each = Window.partitionBy("class").orderBy(F.desc("score"), "vec_id")
-    top = top.withColumn("n", F.row_number().over(each)).where(F.col("n") <= k + 1)
-    packed = top.groupBy("class").agg(F.array_sort(F.collect_list(F.struct("n", "vec_id", "score"))).alias("found"))
-    members = saved(rows.where("asks").select("class", F.col("id").alias("query_id")).distinct())
-    sized = members.groupBy("class").agg(F.count("*").alias("n_members")).join(packed, "class")
-    answers = attach(members, saved(sized), ["class"], "n_members")
-    own = F.filter("found", lambda x: x["vec_id"] != F.col("query_id"))
-    out = answers.select("query_id", F.posexplode(F.slice(own, 1, k)).alias("at", "hit"))
-    return out.select("query_id", (F.col("at") + 1).cast("int").alias("rank"), "hit.vec_id", "hit.score")
+    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(meet, "class string, other string, score double")
 
 
 def recall(found: DataFrame, exact: DataFrame) -> DataFrame:

@@ -47,6 +47,39 @@ def test_search_matches_brute_force(spark, monkeypatch):
     assert hits == 20 * len(want)
 
 
+def test_recall_of_the_scan_alone(spark, monkeypatch):
+    """Far more vectors than the sample holds: what is found comes from the probed lists."""
+    monkeypatch.setattr(ann, "SAMPLE", 300)
+    rng = np.random.default_rng(3)
+    for rows in (rng.normal(size=(3000, 32)), rng.normal(size=(40, 32))[rng.integers(0, 40, 3000)] * 2 + rng.normal(size=(3000, 32))):
+        rows = rows.astype(np.float32)
+        table = spark.createDataFrame([(int(i), [float(x) for x in v]) for i, v in enumerate(rows)], "vec_id long, embedding array<float>")
+        exact = rows[::20].astype(np.float64) @ rows.astype(np.float64).T
+        exact[np.arange(len(exact)), np.arange(0, 3000, 20)] = -np.inf
+        want = {(20 * q, int(i)) for q, line in enumerate(np.argsort(-exact, axis=1)[:, :20]) for i in line}
+        got = ann.search(table, F.col("vec_id") % 20 == 0).collect()
+        assert len(got) == len(want)
+        assert len(want & {(r.query_id, r.vec_id) for r in got}) >= 0.9 * len(want)
+        assert [r.score for r in got] == pytest.approx([exact[r.query_id // 20, r.vec_id] for r in got], rel=1e-12)
+
+
+def test_a_query_that_finds_too_few_scans_all_lists(spark, monkeypatch):
+    monkeypatch.setattr(ann, "TUNED_RECALL", 0.0)  # one list
+    rng = np.random.default_rng(4)
+    rows = [(i, [float(x) for x in rng.normal(size=6)]) for i in range(30)]
+    got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), F.col("vec_id") < 5).collect()
+    assert len(got) == 5 * 20 and len({(r.query_id, r.vec_id) for r in got}) == 100
+    want = {q: [i for _, i in sorted((-float(np.dot(rows[q][1], v)), i) for i, v in rows if i != q)[:20]] for q in range(5)}
+    assert all([r.vec_id for r in sorted(got, key=lambda r: r["rank"]) if r.query_id == q] == want[q] for q in want)
+
+
+def test_one_vector_of_an_id_takes_part(spark):
+    rows = [(1, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 1.0]), (3, [2.0, 1.0]), (2, [1.0, 1.0])]
+    got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), F.lit(True)).collect()
+    assert sorted((r.query_id, r["rank"]) for r in got) == [(q, r) for q in (1, 2, 3) for r in (1, 2)]
+    assert {(r.query_id, r.vec_id) for r in got} == {(a, b) for a in (1, 2, 3) for b in (1, 2, 3) if a != b}
+
+
 def test_few_and_no_rows(spark):
     table = spark.createDataFrame([(0, [1.0, 0.0]), (1, [0.0, 1.0]), (2, [1.0, 1.0])], "vec_id long, embedding array<float>")
     assert [(r.query_id, r["rank"], r.vec_id) for r in ann.search(table, F.col("vec_id") == 0).orderBy("rank").collect()] == [(0, 1, 2), (0, 2, 1)]
@@ -57,7 +90,7 @@ def test_few_and_no_rows(spark):
 def test_abandoning_saves_work_and_keeps_recall():
     rng = np.random.default_rng(2)
     rows = rng.normal(size=(30, 64))[rng.integers(0, 30, 3000)] * 2 + rng.normal(size=(3000, 64)) * 0.5
-    index = ann.build(rows[:1000], np.arange(1000).astype(str), float((rows**2).sum(axis=1).max()), 3000)
+    index = ann.build(rows[:1000], float((rows**2).sum(axis=1).max()), 3000)
     queries = rows[:50]
     products = queries @ rows.T
     best = np.argsort(-products, axis=1)[:, :20]

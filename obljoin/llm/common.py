@@ -60,22 +60,33 @@ def content_key(text: str = "text") -> Column:
     return F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit("")))
 
 
+def unused(columns: list[str], *names: str) -> list[str]:
+    """The names, each with underscores behind it until no column is called so (in any case)."""
+    taken, out = {c.lower() for c in columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
+
+
 def keep_rows(docs: DataFrame, judged: DataFrame, kept: Column, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
     """The rows of ``docs`` that ``judged`` (a row each: doc_id, content, ...) marks as ``kept``, with all their columns.
 
-    Rows are found again by id and content; of rows that agree in both, as many stay as are marked.
+    Rows are found again by id and content; of rows that agree in both, as many stay as are marked. Columns of ``docs`` may have any names.
     """
-    stay = judged.groupBy(F.col("doc_id").alias("_id"), F.col("content").alias("_content")).agg(F.sum(kept.cast("long")).alias("_stay"), F.count("*").alias("_all"))
-    stay = saved(stay.where("_stay > 0"))
-    marked = docs.withColumn("_key", content_key(text))
-    same = marked[doc_id].eqNullSafe(stay["_id"]) & (marked["_key"] == stay["_content"])
-    joined = marked.join(stay, same)
-    whole = joined.where("_stay = _all")
-    if stay.where("_stay < _all").head(1):  # rows that repeat an id and a text
-        order = Window.partitionBy("_id", "_content").orderBy(*[c for c, t in docs.dtypes if not t.startswith("map")])
-        part = joined.where("_stay < _all").withColumn("_n", F.row_number().over(order)).where("_n <= _stay").drop("_n")
+    key, id_, content, stay_, all_, n = unused(docs.columns, "_key", "_id", "_content", "_stay", "_all", "_n")
+    stay = judged.groupBy(F.col("doc_id").alias(id_), F.col("content").alias(content)).agg(F.sum(kept.cast("long")).alias(stay_), F.count("*").alias(all_))
+    stay = saved(stay.where(F.col(stay_) > 0))
+    marked = docs.withColumn(key, content_key(text))
+    joined = marked.join(stay, marked[doc_id].eqNullSafe(stay[id_]) & (marked[key] == stay[content]))
+    whole = joined.where(F.col(stay_) == F.col(all_))
+    if stay.where(F.col(stay_) < F.col(all_)).head(1):  # rows that repeat an id and a text
+        order = Window.partitionBy(id_, content).orderBy(*[docs[c] for c, t in docs.dtypes if "map<" not in t and t != "variant"])
+        part = joined.where(F.col(stay_) < F.col(all_)).withColumn(n, F.row_number().over(order)).where(F.col(n) <= F.col(stay_)).drop(n)
         whole = whole.unionByName(part)
-    return whole.select(*docs.columns)
+    return whole.select(*(f"`{c}`" for c in docs.columns))
 
 
 def key_bitmap(keys: DataFrame, code: Column, bits: int) -> np.ndarray:
@@ -139,12 +150,12 @@ def utf8(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return held[at[0] : at[-1]], at - at[0]
 
 
-def blocks(offsets: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
-    """Row ranges of at most ``most`` bytes each, or of one row that is longer."""
+def blocks(offsets: np.ndarray, most: int, rows: int = 1 << 30) -> Iterator[tuple[int, int]]:
+    """Row ranges of at most ``most`` bytes and ``rows`` rows each, or of one row that is longer."""
     n, first = len(offsets) - 1, 0
     while first < n:
         last = int(np.searchsorted(offsets, offsets[first] + most, side="right")) - 1
-        last = min(max(last, first + 1), n)
+        last = min(max(last, first + 1), first + rows, n)
         yield first, last
         first = last
 

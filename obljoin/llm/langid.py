@@ -28,6 +28,8 @@ from obljoin.llm.common import LOWER, blocks, trim, trimmed, utf8
 DIMENSIONS = 4096
 SAMPLE = 2400
 BLOCK_BYTES = 1 << 20
+#: Rows are dense, so a block of short texts is bounded by their number.
+BLOCK_ROWS = 256
 #: A lead (in probability) of the best codeword over the second below this is ambiguous.
 LEAD = 0.2
 UNKNOWN = "und"
@@ -157,7 +159,7 @@ def train(docs: DataFrame, learn: Column, text: str = "text", lang: str = "lang"
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = utf8(batch.column(1))
-            for a, b in blocks(offsets, BLOCK_BYTES):
+            for a, b in blocks(offsets, BLOCK_BYTES, BLOCK_ROWS):
                 rows = features(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array([r.tobytes() for r in rows], pa.binary())], names=["lang", "row"])
 
@@ -187,7 +189,7 @@ def identify(docs: DataFrame, model: LanguageModel | None, text: str = "text", d
             data, offsets = utf8(rows.flatten()[at].cast(pa.string()))
             n = len(offsets) - 1
             names, scores, unsure = np.full(n, UNKNOWN, object), np.zeros(n), np.ones(n, bool)
-            for a, b in blocks(offsets, BLOCK_BYTES) if model else ():
+            for a, b in blocks(offsets, BLOCK_BYTES, BLOCK_ROWS) if model else ():
                 part, cut = data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]
                 best, score, lead = model.decode(features(part, cut))
                 some = have_letters(part, cut)

@@ -7,8 +7,8 @@ collapsed to one with a multiplicity. The rest are dealt to shards by anchor; a
 by Larsson-Sadakane refinement (only groups that are still tied are sorted again, with doubled depth) and Kasai's
 common prefixes, run side by side over all contexts. Runs with a common prefix of LENGTH are classes of
 equal windows, and a class of multiplicity two or more is repeated. An anchor with very many different
-contexts is split over several shards; their different windows, repeated or not, then meet as sorted digests, merged by
-binary search.
+contexts is split over several shards; the sorted digests of their different windows, repeated or not, are then
+merged by binary search, two shards at a time.
 
 Texts move only if they may hold something repeated, once per distinct text. Filters of fixed size spare traffic; joins
 after them are exact.
@@ -26,6 +26,7 @@ from functools import cache
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -301,72 +302,104 @@ def _spans(flags: np.ndarray) -> tuple[list[int], list[int]]:
     return edge[::2].tolist(), edge[1::2].tolist()
 
 
-_JUDGED = f"{_CONTEXT}, begins array<int>, ends array<int>, digests array<string>"
+_JUDGED = f"{_CONTEXT}, begins array<int>, ends array<int>, block long, windows array<int>, digests array<binary>"
 
 
 def judge(cut: DataFrame) -> DataFrame:
     """Suffix arrays over the contexts of each anchor: spans of repeated windows, and for split anchors a digest of every different window.
 
-    Windows that are not yet known to be repeated have their number before the digest, the others -1.
+    ``block`` numbers what was judged together. ``windows`` has the place of each digest in its context if it is not yet known to be repeated, else -1.
     """
 
-    def work(rows: list[tuple]) -> pa.RecordBatch:
+    def work(rows: list[tuple], block: int) -> pa.RecordBatch:
         flags = repeated_windows([r[5] for r in rows], np.array([r[4] for r in rows], np.float64))
-        begins, ends, digests, told = [], [], [], set()
+        begins, ends, windows, digests, told = [], [], [], [], set()
         for row, flag in zip(rows, flags, strict=True):
             b, e = _spans(flag)
             begins.append(b)
             ends.append(e)
-            own = []
+            places, marks = [], []
             for k, known in enumerate(flag.tolist() if row[6] else ()):
-                digest = hashlib.md5(row[5][k : k + LENGTH]).hexdigest()
-                if not known:
-                    own.append(f"{k}:{digest}")
-                elif digest not in told:  # once is enough for the other shards to meet it
-                    told.add(digest)
-                    own.append(f"-1:{digest}")
-            digests.append(own)
+                mark = hashlib.md5(row[5][k : k + LENGTH]).digest()
+                if not known or mark not in told:  # of a repeated window one digest is enough for the other shards to meet it
+                    places.append(-1 if known else k)
+                    marks.append(mark)
+                    told.add(mark)
+            windows.append(places)
+            digests.append(marks)
         kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32())
         columns = [pa.array([r[i] for r in rows], t) for i, t in enumerate(kinds)]
-        columns += [pa.array(begins, pa.list_(pa.int32())), pa.array(ends, pa.list_(pa.int32())), pa.array(digests, pa.list_(pa.string()))]
-        return pa.RecordBatch.from_arrays(columns, names=[*_CONTEXT_KEYS, "begins", "ends", "digests"])
+        columns += [pa.array(begins, pa.list_(pa.int32())), pa.array(ends, pa.list_(pa.int32())), pa.array([block] * len(rows), pa.int64())]
+        columns += [pa.array(windows, pa.list_(pa.int32())), pa.array(digests, pa.list_(pa.binary()))]
+        return pa.RecordBatch.from_arrays(columns, names=[*_CONTEXT_KEYS, "begins", "ends", "block", "windows", "digests"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size, now = [], 0, None
+        held, size, now, block = [], 0, None, TaskContext.get().partitionId() << 32
         for batch in batches:  # sorted by anchor and shard; a block ends only between two of them
             for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
                 key = (row[0], row[7])
                 if key != now and size >= SHARD_BYTES:
-                    yield work(held)
-                    held, size = [], 0
+                    yield work(held, block)
+                    held, size, block = [], 0, block + 1
                 now = key
                 held.append(row)
                 size += len(row[5])
         if held:
-            yield work(held)
+            yield work(held, block)
 
     dealt = cut.repartition("h", "shard").sortWithinPartitions("h", "shard")
     return dealt.select(*_CONTEXT_KEYS, "n_rows", "body", "split", "shard").mapInArrow(trimmed(run), _JUDGED)
 
 
+def met_in_two(runs: list[np.ndarray]) -> np.ndarray:
+    """The values that two or more runs have. Each run is sorted without repeats; runs are merged two at a time by binary search."""
+    shared = [np.zeros(0, "S16")]
+    while len(runs) > 1:
+        merged = []
+        for a, b in zip(runs[::2], runs[1::2], strict=False):
+            at = np.searchsorted(a, b)
+            hit = a[np.minimum(at, len(a) - 1)] == b
+            shared.append(b[hit])
+            merged.append(np.insert(a, at[~hit], b[~hit]))
+        runs = merged + runs[len(runs) & ~1 :]
+    return np.unique(np.concatenate(shared))
+
+
 def merge_shards(judged: DataFrame) -> DataFrame:
     """Windows of split anchors that only another shard shows to be repeated: context keys and window number.
 
-    A digest comes once from each block of shards judged together. The digests are dealt by range and sorted; a binary search for either end of each digest's run tells how often it occurs.
+    Digests are dealt by their first bytes; each block of shards then comes as one sorted run per cell.
     """
-    each = judged.where("size(digests) > 0").select(*_CONTEXT_KEYS, F.explode("digests").alias("d"))
-    rows = each.select(*_CONTEXT_KEYS, F.substring_index("d", ":", 1).cast("int").alias("k"), F.substring_index("d", ":", -1).alias("digest"))
-    counted = rows.groupBy("digest").agg(F.count("*").alias("n"), F.min(F.struct(*_CONTEXT_KEYS, "k")).alias("one")).where("n > 1")
-    ranged = counted.select("digest").repartitionByRange("digest").sortWithinPartitions("digest")
+    each = judged.where("size(windows) > 0").select(*_CONTEXT_KEYS, "block", F.explode(F.arrays_zip("windows", "digests")).alias("w"))
+    rows = each.select(*_CONTEXT_KEYS, "block", F.col("w.windows").alias("k"), F.col("w.digests").alias("digest"))
+    rows = rows.withColumn("cell", F.conv(F.hex(F.substring("digest", 1, 2)), 16, 10).cast("int"))
+    dealt = rows.repartition("cell").sortWithinPartitions("cell", "block", "digest").select(*_CONTEXT_KEYS, "k", "cell", "block", "digest")
+
+    def work(held: pa.Table) -> pa.RecordBatch:
+        marks = np.array(held["digest"].to_pylist(), "S16")
+        block = held["block"].to_numpy()
+        edge = [0, *(np.flatnonzero(np.diff(block)) + 1).tolist(), len(block)]
+        shared = met_in_two([marks[a:b] for a, b in zip(edge, edge[1:], strict=False)])
+        at = np.minimum(np.searchsorted(shared, marks), max(len(shared) - 1, 0))
+        found = (shared[at] == marks) & (held["k"].to_numpy() >= 0) if len(shared) else np.zeros(len(marks), bool)
+        out = held.select([*_CONTEXT_KEYS, "k"]).filter(pa.array(found)).combine_chunks()
+        return pa.RecordBatch.from_arrays([c.combine_chunks() for c in out.columns], names=out.column_names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keys = np.array(batch.column(0).to_pylist(), dtype="S32")
-            first = np.searchsorted(keys, keys, side="left")
-            yield batch.filter(pa.array(first == np.arange(len(keys))))
+        held: list[pa.RecordBatch] = []
+        for batch in batches:  # sorted by cell
+            cells = batch.column(5).to_numpy()
+            edge = [0, *(np.flatnonzero(np.diff(cells)) + 1).tolist(), len(cells)]
+            for a, b in zip(edge, edge[1:], strict=False):
+                if held and a < b and held[-1].column(5)[0].as_py() != cells[a]:
+                    yield work(pa.Table.from_batches(held))
+                    held = []
+                if a < b:
+                    held.append(batch.slice(a, b - a))
+        if held:
+            yield work(pa.Table.from_batches(held))
 
-    shared = ranged.mapInArrow(trimmed(run), "digest string")
-    return rows.where("k >= 0").join(shared, "digest", "left_semi").select(*_CONTEXT_KEYS, "k")
+    return dealt.mapInArrow(trimmed(run), f"{_CONTEXT}, k int")
 
 
 def removal(docs: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:

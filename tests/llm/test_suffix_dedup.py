@@ -75,6 +75,41 @@ def test_shards_tell_each_other_of_repeated_windows(spark, monkeypatch):
         spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", coalesced)
 
 
+def test_a_line_in_very_many_texts(spark, monkeypatch):
+    """A common line with groups of three that share more; many small shards in many partitions, that nothing joins."""
+    monkeypatch.setattr(suffix_dedup, "SHARD_CONTEXTS", 16)
+    monkeypatch.setattr(suffix_dedup, "SHARD_BYTES", 1)
+    rng = random.Random(11)
+    noise = lambda n: "".join(rng.choice("abcdefghij ") for _ in range(n))
+    line, more = noise(200), [noise(40) for _ in range(20)]
+    texts = [noise(60) + line + (more[i % 20] if i < 60 else "") + noise(60) for i in range(800)]
+    kept = {k: spark.conf.get(k) for k in ("spark.sql.adaptive.enabled", "spark.sql.shuffle.partitions")}
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    spark.conf.set("spark.sql.shuffle.partitions", "16")
+    try:
+        assert run(spark, texts) == brute(texts)
+    finally:
+        for k, v in kept.items():
+            spark.conf.set(k, v)
+
+
+def test_runs_are_merged_by_search():
+    rng = random.Random(12)
+    for n in range(1, 9):
+        runs = [sorted(rng.sample(range(40), rng.randint(1, 30))) for _ in range(n)]
+        marks = [np.array([b"%016d" % x for x in r], "S16") for r in runs]
+        want = sorted(x for x, c in Counter(x for r in runs for x in r).items() if c > 1)
+        assert suffix_dedup.met_in_two(marks).tolist() == [b"%016d" % x for x in want]
+
+
+def test_repeated_ids_and_rows(spark):
+    part = "".join(random.Random(13).choice("abcdef ") for _ in range(260))
+    docs = spark.createDataFrame([(1, "x" + part), (1, "y" + part), (1, "x" + part), (None, part + "z"), (None, None)], "doc_id long, text string")
+    rows = sorted(tuple(r)[:4] for r in strip(docs).collect() if r.doc_id is not None)
+    assert rows == [(1, 261, 260, 1), (1, 261, 261, 1), (1, 261, 261, 1)]
+    assert sorted(tuple(r)[1:4] for r in strip(docs).where("doc_id is null").collect()) == [(0, 0, 0), (261, 260, 1)]
+
+
 def test_long_text_in_pieces(monkeypatch):
     monkeypatch.setattr(suffix_dedup, "PIECE", 300)
     monkeypatch.setattr(suffix_dedup, "BLOCK_BYTES", 256)

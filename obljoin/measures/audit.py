@@ -6,12 +6,13 @@ import re
 
 from pyspark.sql import DataFrame
 
-#: Patterns of physical nodes that a hidden plan must not have, and why.
+#: Patterns of physical nodes that a hidden plan must not have, and why. Public numbers may deal rows: __pos, __b (bucket of a rank),
+#: __task (partition), __down and __across (tile of a position).
 FORBIDDEN = {
     r"AdaptiveSparkPlan": "the plan may change with the data",
-    r"Exchange hashpartitioning\((?!__b|__part)": "rows are dealt by a key",
-    r"SortMergeJoin|ShuffledHashJoin": "partners meet by key",
-    r"BroadcastNestedLoopJoin|CartesianProduct": "the size of the output follows the data",
+    r"Exchange hashpartitioning\((?!__b#|__task#|__down#|__pos#)": "rows are dealt by a key",
+    r"(?:SortMergeJoin|ShuffledHashJoin)\S* \[(?!__down#)": "partners meet by key",
+    r"CartesianProduct \(|BroadcastNestedLoopJoin \w+, \w+, \(": "the size of the output follows the data",
     r"InMemoryTableScan": "cached blocks have data-dependent sizes",
     r"(?:BatchEvalPython|MapInPandas|MapInArrow|FlatMapGroups\w*)": "Python may emit any number of rows",
 }

@@ -61,6 +61,20 @@ def delay_report(r1: DataFrame, r2: DataFrame, r3: DataFrame) -> DataFrame:
     return row.selectExpr("stack(2, 'first', first, 'second', second) AS (measure, value)")
 
 
+def recursive_report(r1: DataFrame, r2: DataFrame, r3: DataFrame) -> DataFrame:
+    """What the plain recursive join of a triangle shows: values and pairs that survive, and how many take which list."""
+    x1 = next(c for c in r2.columns if c in r3.columns)
+    x2 = next(c for c in r1.columns if c in r3.columns)
+    d1, d2, d3 = (r.groupBy(x).agg(F.count("*").alias(n)) for r, x, n in ((r1, x2, "d1"), (r2, x1, "d2"), (r3, x1, "d3")))
+    ones = d2.join(d3, x1).crossJoin(d1.agg(F.count("*").alias("all")))  # one row
+    pairs = r3.join(d1, x2).join(d2, x1)
+    count = lambda c, name: F.coalesce(F.sum(F.when(c, 1).otherwise(0)), F.lit(0)).cast("long").alias(name)
+    first = ones.agg(F.count("*").alias("values"), count(F.col("all") <= F.col("d3"), "values_by_first"), count(F.col("all") > F.col("d3"), "values_by_third"))
+    second = pairs.agg(F.count("*").alias("pairs"), count(F.col("d1") <= F.col("d2"), "pairs_by_first"), count(F.col("d1") > F.col("d2"), "pairs_by_second"))
+    row = first.crossJoin(second)  # one row each
+    return row.selectExpr(f"stack({len(row.columns)}, {', '.join(f"'{c}', `{c}`" for c in row.columns)}) AS (measure, value)")
+
+
 def spark_profile(event_log: str, jobs_from: float = 0.0) -> list[tuple[int, int, int, int, int]]:
     """From an event log: (stage, task, rows read, rows written, bytes written) of every exchange, in order."""
     out = []

@@ -27,7 +27,7 @@ def bag_tables(query: JoinQuery, instance: Instance, ghd: Decomposition, policy:
                 if n != whole:
                     table = semijoin(table, cut[n], a)
         else:
-            table = hidden_wcoj(inside, {n: t.hold() for n, t in cut.items()}, policy=policy, keys=keys)
+            table = hidden_wcoj(inside, {n: t.hold() for n, t in cut.items()}, fuse=True, policy=policy, keys=keys)
         out.append(table.hold())
     return out
 

@@ -14,7 +14,7 @@ from obljoin.operators.physical import Engine
 class PaddedTable:
     """``df`` has the attributes, ``__real``, ``__pos`` (a permutation of 0..rows-1) and count columns.
 
-    Dummies have null attributes. Real rows differ in their attributes. ``overflow`` is set where a declared size proved too small.
+    Dummies have null attributes. Real rows differ in their attributes. Where a declared size proves too small, ``reveal`` raises.
     """
 
     df: DataFrame
@@ -43,22 +43,26 @@ def masked(attrs: tuple[str, ...] | list[str], real: Column) -> dict[str, Column
 def load(engine: Engine, df: DataFrame, attrs: tuple[str, ...] | list[str], rows: int | None = None) -> PaddedTable:
     """A set of tuples as a padded table. ``rows`` is its public size; the default declares the number found.
 
-    A row with a null attribute cannot match and becomes a dummy. More rows than declared raise an error.
+    The owner's step: duplicates go by key, and only the padded table is written. A row with a null attribute cannot match and
+    becomes a dummy. More rows than declared raise an error.
     """
     attrs = tuple(attrs)
     complete = F.lit(True)
     for a in attrs:
         complete = complete & F.col(a).isNotNull()
-    distinct = df.select(*attrs).distinct()
-    held = engine.numbered(distinct.withColumn("__real", complete), "__pos")
-    held = held.withColumns(masked(attrs, F.col("__real")))
-    found = held.count()
-    rows = found if rows is None else rows
-    if found > rows:
-        raise ValueError(f"{found} rows do not fit in {rows}")
+    distinct = df.select(*attrs).distinct().withColumn("__real", complete)
+    distinct = distinct.withColumns(masked(attrs, F.col("__real")))
+    if rows is not None:
+        found = distinct.count()
+        if found > rows:
+            raise ValueError(f"{found} rows do not fit in {rows}")
+        kinds = {f.name: f.dataType for f in distinct.schema.fields}
+        filler = engine.spark.range(rows - found).select(*(F.lit(None).cast(kinds[a]).alias(a) for a in attrs), F.lit(False).alias("__real"))
+        distinct = distinct.unionByName(filler)
+    held = engine.numbered(distinct, "__pos", audited=False)
+    rows = held.count() if rows is None else rows
     engine.step("load", rows)
-    out = PaddedTable(held, attrs, found, engine)
-    return pad_to(out, rows).hold()
+    return PaddedTable(held, attrs, rows, engine).hold()
 
 
 def empty_rows(table: PaddedTable, start: int, end: int) -> DataFrame:
@@ -103,7 +107,8 @@ def rename(table: PaddedTable, names: dict[str, str]) -> PaddedTable:
 
 
 def reveal(table: PaddedTable) -> DataFrame:
-    """The real rows, for the trusted client only."""
+    """The real rows, for the trusted client only, who learns here whether a declared size was too small."""
+    table.engine.settle()
     return table.df.where("__real").select(*table.attrs)
 
 

@@ -6,11 +6,13 @@ of all materialised tables are public.
 
 from __future__ import annotations
 
+import secrets
 import tempfile
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 from dataclasses import dataclass, field
+from functools import reduce
 from itertools import count
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -26,12 +28,14 @@ LOCAL = (1 << 33) - 1  # bits of monotonically_increasing_id below the partition
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
+    """The folder that driver and executors share; a temporary one only where the session names none and runs on this machine alone."""
     context = spark.sparkContext
     found = context._jsc.sc().getCheckpointDir()
     if found.isDefined():
         return found.get()
     configured = context.getConf().get("spark.checkpoint.dir")
+    if not configured and context.master.partition("[")[0] != "local":
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     context.setCheckpointDir(configured or tempfile.mkdtemp(prefix="checkpoints-"))
     return context._jsc.sc().getCheckpointDir().get()
 
@@ -66,22 +70,27 @@ def run_settings(spark: SparkSession, settings: dict[str, str]) -> Iterator[None
 class Engine:
     """How padded tables are computed.
 
-    ``padded``: materialised sizes are public, Catalyst may exchange rows by key. ``hidden``: every exchange is independent of the data.
+    ``padded``: materialised sizes are public, Catalyst may exchange rows by key. ``hidden``: every exchange is independent of the data, and
+    each step's plan is audited before it is written. ``secret`` keys the permutations; it is drawn anew unless given.
     """
 
     spark: SparkSession
     mode: str = "padded"
     partitions: int | None = None
-    secret: str = "change me"
+    secret: str = field(default_factory=lambda: secrets.token_hex(32), repr=False)
     sort: str = "shuffle"
     #: Refuse to run a step with more slots than this.
     most_rows: int = 1 << 40
     steps: list[tuple[str, int]] = field(default_factory=list)
+    #: (step, slots, one-row frame with the real size ``size``): secret, for the client's check after the run and for reports.
+    sizes: list[tuple[str, int, DataFrame]] = field(default_factory=list, repr=False)
     _fresh: Iterator[int] = field(default_factory=count)
 
     def __post_init__(self) -> None:
         if self.mode not in ("padded", "hidden"):
             raise ValueError(f"no mode {self.mode}")
+        if not self.secret:
+            raise ValueError("an empty secret keys nothing")
         self.partitions = self.partitions or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
 
     @property
@@ -94,10 +103,36 @@ class Engine:
             raise ValueError(f"{name} would make {rows} slots, more than {self.most_rows}")
         self.steps.append((name, rows))
 
-    def barrier(self, df: DataFrame) -> DataFrame:
+    def needs(self, name: str, rows: int, size: DataFrame) -> None:
+        """Notes the secret real size (one row, ``size``) of a step with so many slots; nothing runs until the client asks."""
+        self.sizes.append((name, rows, size))
+
+    def settle(self) -> None:
+        """The client's check after the run: raises if a declared size proved too small."""
+        found = self.real_sizes()
+        self.sizes.clear()
+        for name, rows, size in found:
+            if size > rows:
+                raise OverflowError(f"{name}: the result has more than {rows} rows")
+
+    def real_sizes(self) -> list[tuple[str, int, int]]:
+        """(step, slots, real rows) of the noted steps, by one job. Secret: for the client."""
+        if not self.sizes:
+            return []
+        one = lambda i, size: size.select(F.lit(i).alias("i"), F.coalesce("size", F.lit(0)).cast("long").alias("size"))
+        rows = {r.i: r["size"] for r in reduce(DataFrame.unionByName, (one(i, size) for i, (_, _, size) in enumerate(self.sizes))).collect()}  # a row per step
+        return [(name, slots, rows.get(i, 0)) for i, (name, slots, _) in enumerate(self.sizes)]
+
+    def barrier(self, df: DataFrame, audited: bool = True) -> DataFrame:
+        """Materialises a step. In hidden mode its plan must pass the audit first; only the owner's own loading is exempt."""
         if not self.hidden:
             return saved(df)
         with run_settings(self.spark, HIDDEN_SETTINGS):
+            if audited:
+                from obljoin.measures.audit import check  # the measures are built on this module
+
+                if found := check(df):
+                    raise RuntimeError("a hidden step depends on data: " + "; ".join(found))
             return saved(df)
 
     def tag(self, position: Column) -> Column:
@@ -105,16 +140,16 @@ class Engine:
         key = f"{self.secret}:{next(self._fresh)}:"
         return F.conv(F.substring(F.sha2(F.concat(F.lit(key), position.cast("string")), 256), 1, 15), 16, 10).cast("long")
 
-    def numbered(self, df: DataFrame, rank: str = "__rank") -> DataFrame:
+    def numbered(self, df: DataFrame, rank: str = "__rank", audited: bool = True) -> DataFrame:
         """Adds the global rank in partition order, without an exchange of the rows."""
-        held = self.barrier(df.withColumn("__id", F.monotonically_increasing_id()))
-        part = F.shiftright("__id", 33)
+        held = self.barrier(df.withColumn("__id", F.monotonically_increasing_id()), audited)
+        held = held.withColumn("__task", F.shiftright("__id", 33))
         # one row per partition
-        sizes = held.groupBy(part.alias("__part")).agg(F.count("*").alias("__n"))
-        before = F.sum("__n").over(Window.orderBy("__part").rowsBetween(Window.unboundedPreceding, -1))
-        offsets = F.broadcast(sizes.select("__part", F.coalesce(before, F.lit(0)).alias("__offset")))
-        ranked = held.withColumn("__part", part).join(offsets, "__part")
-        return ranked.withColumn(rank, F.col("__offset") + F.col("__id").bitwiseAND(LOCAL)).drop("__part", "__offset", "__id")
+        sizes = held.groupBy("__task").agg(F.count("*").alias("__n"))
+        before = F.sum("__n").over(Window.orderBy("__task").rowsBetween(Window.unboundedPreceding, -1))
+        offsets = F.broadcast(sizes.select("__task", F.coalesce(before, F.lit(0)).alias("__offset")))
+        ranked = held.join(offsets, "__task")
+        return ranked.withColumn(rank, F.col("__offset") + F.col("__id").bitwiseAND(LOCAL)).drop("__task", "__offset", "__id")
 
     def permuted(self, df: DataFrame, position: str = "__pos") -> DataFrame:
         """Rows in a keyed random order."""

@@ -9,7 +9,7 @@ from __future__ import annotations
 from collections.abc import Sequence
 from dataclasses import replace
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from obljoin.operators.padded import PaddedTable, empty_rows, masked
@@ -58,6 +58,12 @@ def reopened(r: PaddedTable, df: DataFrame, real: Column, extra: dict[str, Colum
     return replace(r, df=out.select(*attrs, "__real", "__pos", *counts), attrs=attrs, counts=counts)
 
 
+def by_key(df: DataFrame, found: DataFrame, keys: Sequence[str]) -> DataFrame:
+    """Left join of padded rows with at most one row per key. Dummies, which have no key, are dealt by position instead of all to one task."""
+    part = F.when(F.col("__real"), F.lit(0)).otherwise(F.pmod("__pos", F.lit(4096)) + 1).cast("int")
+    return df.withColumn("__part", part).join(found.withColumn("__part", F.lit(0)), [*keys, "__part"], "left").drop("__part")
+
+
 def semijoin(r: PaddedTable, s: PaddedTable, on: Sequence[str] | None = None, anti: bool = False) -> PaddedTable:
     """Rows of r with a partner in s (``anti``: without). No shared attribute: whether s has any row."""
     keys = common(r, s, on)
@@ -69,7 +75,7 @@ def semijoin(r: PaddedTable, s: PaddedTable, on: Sequence[str] | None = None, an
         return reopened(r, done, ~F.col("__dead") & (~hit if anti else hit))
     if keys:
         found = s.df.where("__real").select(*keys).distinct().withColumn("__hit", F.lit(True))
-        joined = r.df.join(found, keys, "left")
+        joined = by_key(r.df, found, keys)
     else:
         any_ = s.df.agg(F.max("__real").alias("__hit"))  # one row
         joined = r.df.join(F.broadcast(any_))
@@ -93,7 +99,7 @@ def lookup(r: PaddedTable, s: PaddedTable, on: Sequence[str], columns: Sequence[
         done = scan(r.engine, ranked, n, fills={"__got": F.when((F.col("__side") == 0) & ~F.col("__dead"), given)})
         hit = F.coalesce(F.col("__got.key") == F.col("__key"), F.lit(False))
         return reopened(r, done, ~F.col("__dead"), {c: F.when(hit, F.col(f"__got.{c}")) for c in columns}, attrs=attrs)
-    joined = r.df.join(s.df.where("__real").select(*on, *columns), on, "left")
+    joined = by_key(r.df, s.df.where("__real").select(*on, *columns), on)
     return replace(r, df=joined.select(*attrs, "__real", "__pos", *r.counts), attrs=attrs)
 
 
@@ -136,7 +142,7 @@ def augment(r: PaddedTable, partners: Sequence[tuple[str, PaddedTable, Sequence[
             continue
         live = s.df.where("__real")
         if on:
-            joined = r.df.join(live.groupBy(*on).agg(F.count("*").alias("__n")), on, "left")
+            joined = by_key(r.df, live.groupBy(*on).agg(F.count("*").alias("__n")), on)
         else:
             joined = r.df.join(F.broadcast(live.agg(F.count("*").alias("__n"))))  # one row
         n = F.when(F.col("__real"), F.coalesce("__n", F.lit(0))).otherwise(0).cast("long")
@@ -157,33 +163,42 @@ def counted(r: PaddedTable, s: PaddedTable, on: list[str]) -> DataFrame:
 
 
 def compact(r: PaddedTable, keep: int | None = None) -> PaddedTable:
-    """Real rows first, in their order; only the first ``keep`` slots stay. Real rows beyond them raise an error."""
+    """Real rows first, in their order; only the first ``keep`` slots stay. Real rows beyond them raise an error at the client."""
     keep = r.rows if keep is None else keep
     r.engine.step("compact", keep)
     if r.engine.hidden:
         ranked = r.engine.ordered(r.df, [~F.col("__real"), F.col("__pos")], r.rows).withColumn("__pos", F.col("__rank"))
-        if keep < r.rows and ranked.where((F.col("__rank") >= keep) & F.col("__real")).head(1):
-            raise OverflowError(f"more than {keep} real rows")
+        if keep < r.rows:
+            r.engine.needs("compact", keep, ranked.agg(F.sum(F.col("__real").cast("long")).alias("size")))
         out = replace(r, df=ranked.where(F.col("__rank") < keep).select(*r.columns()), rows=min(keep, r.rows))
     else:
         held = r.hold()
-        done = scan(r.engine, held.df.withColumn("__rank", F.col("__pos")), r.rows, sums={"__c": F.col("__real").cast("long")})
-        live = done.where("__real").withColumn("__slot", F.col("__c") - 1)
-        if keep < r.rows and live.where(F.col("__slot") >= keep).head(1):
-            raise OverflowError(f"more than {keep} real rows")
-        out = slotted(replace(r, rows=min(keep, r.rows)), live.drop("__pos"))
+        used = held.df.agg(F.coalesce(F.sum(F.col("__real").cast("long")), F.lit(0)).alias("size"))
+        if keep < r.rows:
+            r.engine.needs("compact", keep, used)
+        out = slotted(replace(r, rows=min(keep, r.rows)), numbered_real(held).withColumnRenamed("__number", "__slot").drop("__pos"), used)
     if keep > r.rows:
         out = replace(out, df=out.df.unionByName(empty_rows(out, r.rows, keep)), rows=keep)
     return out
 
 
-def slotted(shape: PaddedTable, live: DataFrame) -> PaddedTable:
-    """Puts real rows with a ``__slot`` into ``shape.rows`` slots and dummies into the rest."""
-    slots = shape.engine.spark.range(shape.rows).select(F.col("id").alias("__pos"))
-    values = live.select("__slot", *shape.attrs, *shape.counts, F.lit(True).alias("__in"))
-    joined = slots.join(values, slots["__pos"] == values["__slot"], "left")
-    counts = {c: F.coalesce(F.col(c), F.lit(0).cast("long")) for c in shape.counts}
-    return shape.with_df(joined.withColumns({"__real": F.coalesce("__in", F.lit(False))} | counts))
+def numbered_real(t: PaddedTable) -> DataFrame:
+    """The real rows of a held padded table with their ``__number`` in the order of positions; dummies take no part in the exchange."""
+    size = max(1, -(-t.rows // t.engine.partitions))
+    live = t.df.where("__real").withColumn("__b", F.floor(F.col("__pos") / size).cast("int"))
+    before = F.sum("__c").over(Window.orderBy("__b").rowsBetween(Window.unboundedPreceding, -1))  # a row per bucket
+    carry = live.groupBy("__b").agg(F.count("*").alias("__c")).select("__b", F.coalesce(before, F.lit(0)).alias("__before"))
+    inside = F.row_number().over(Window.partitionBy("__b").orderBy("__pos")) - 1
+    return live.withColumn("__inside", inside).join(F.broadcast(carry), "__b").withColumn("__number", F.col("__before") + F.col("__inside")).drop("__b", "__inside", "__before")
+
+
+def slotted(shape: PaddedTable, live: DataFrame, used: DataFrame) -> PaddedTable:
+    """Real rows in the slots ``__slot`` from 0 on, of which ``used`` (one row, ``size``) says how many there are, and dummies up to ``shape.rows``."""
+    kinds = {f.name: f.dataType for f in live.schema.fields}
+    real = live.where(F.col("__slot") < shape.rows).select(*shape.attrs, F.lit(True).alias("__real"), F.col("__slot").cast("long").alias("__pos"), *shape.counts)
+    free = shape.engine.spark.range(shape.rows).join(F.broadcast(used.select(F.coalesce("size", F.lit(0)).alias("__used")))).where(F.col("id") >= F.col("__used"))
+    dummies = free.select(*(F.lit(None).cast(kinds[a]).alias(a) for a in shape.attrs), F.lit(False).alias("__real"), F.col("id").alias("__pos"), *(F.lit(0).cast("long").alias(c) for c in shape.counts))
+    return shape.with_df(real.unionByName(dummies))
 
 
 def encode(r: PaddedTable, attr: str) -> PaddedTable:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Mapping, Sequence
 from dataclasses import replace
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from obljoin.operators.padded import PaddedTable, concat, masked
@@ -69,7 +69,12 @@ def asof_join(r: PaddedTable, s: PaddedTable, time: str, other_time: str, by: Se
 
 
 def aggregate(t: PaddedTable, by: Sequence[str], aggs: Mapping[str, Column]) -> PaddedTable:
-    """Aggregates per group, in as many slots as the table has. ``aggs`` are Spark aggregates over real rows."""
+    """Aggregates per group, in as many slots as the table has. ``aggs`` are Spark aggregates over real rows.
+
+    Groups meet by key, so hidden mode refuses this; ``totals`` is the hidden form for counts and sums.
+    """
+    if t.engine.hidden:
+        raise ValueError("hidden tables are aggregated by totals()")
     by = list(by)
     values = t.df.where("__real").groupBy(*by).agg(*(c.alias(n) for n, c in aggs.items()))
     first = t.df.where("__real").groupBy(*by).agg(F.min("__pos").alias("__pos"))
@@ -154,11 +159,25 @@ def multiplicities(t: PaddedTable, source: DataFrame) -> DataFrame:
     return source.groupBy(*t.attrs).agg(F.count("*").alias("copies")).join(t.df.where("__real").select(*t.attrs), list(t.attrs), "left_semi")
 
 
+def totals(t: PaddedTable, by: Sequence[str], sums: Mapping[str, Column]) -> PaddedTable:
+    """Sums per group (a count is the sum of 1) in as many slots as the table has, by sorts and scans in either mode."""
+    by = list(by)
+    ran = running(t, by, [], sums).hold()
+    last = _edge(ran, by, ran.rows, falling=True)
+    return select(last, (*by, *sums))
+
+
 def first_per_group(t: PaddedTable, by: Sequence[str], order: Sequence[Column]) -> PaddedTable:
-    """The first row of each group, in the table's slots."""
-    at = F.row_number().over(Window.partitionBy("__real", *by).orderBy(*order, "__pos"))
-    keep = F.col("__real") & (F.col("__n") == 1)
-    df = t.df.withColumn("__n", at).withColumn("__keep", keep)
-    return t.with_df(df.withColumns(masked(t.attrs, F.col("__keep")) | {"__real": F.col("__keep")}))
+    """The first row of each group, in the table's slots, by one sort and one scan."""
+    ranked = t.engine.ordered(t.df, [~F.col("__real"), *(F.col(a) for a in by), *order, F.col("__pos")], t.rows)
+    return _edge(t.with_df(ranked.withColumn("__pos", F.col("__rank"))), list(by), t.rows)
 
 
+def _edge(t: PaddedTable, by: list[str], n: int, falling: bool = False) -> PaddedTable:
+    """Of rows in the order of their groups only the first of each (``falling``: the last) stays real."""
+    group = F.struct(*(F.col(a).alias(f"k{i}") for i, a in enumerate(by))) if by else F.struct(F.lit(1).alias("k0"))
+    rank = F.lit(n - 1) - F.col("__pos") if falling else F.col("__pos")
+    done = scan(t.engine, t.df.withColumn("__rank", rank).withColumn("__own", F.when(F.col("__real"), group)), n, before={"__past": F.col("__own")})
+    keep = F.col("__real") & ~F.coalesce(F.col("__past") == F.col("__own"), F.lit(False))
+    done = done.withColumn("__keep", keep)
+    return t.with_df(done.withColumns(masked(t.attrs, F.col("__keep")) | {"__real": F.col("__keep")}))

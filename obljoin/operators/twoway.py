@@ -4,11 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
-from pyspark.sql import Column, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from obljoin.operators.padded import PaddedTable, masked
-from obljoin.operators.primitives import common, counted, slotted
+from obljoin.operators.primitives import by_key, common, counted, numbered_real, slotted
 from obljoin.operators.scan import scan
 
 
@@ -51,7 +51,7 @@ def nested_loop(r: PaddedTable, s: PaddedTable, predicate: Column | None = None,
 
 
 def bounded_join(r: PaddedTable, s: PaddedTable, tau: int, on: Sequence[str] | None = None) -> PaddedTable:
-    """The natural join in exactly ``tau`` slots; a larger result raises an error at the client after the run."""
+    """The natural join in exactly ``tau`` slots; a larger result raises an error at the client after the run (in ``reveal``)."""
     keys = common(r, s, on)
     attrs = _joined_attrs(r, s)
     r.engine.step("bounded_join", tau)
@@ -59,35 +59,57 @@ def bounded_join(r: PaddedTable, s: PaddedTable, tau: int, on: Sequence[str] | N
         return _expand_and_fetch(r, s, keys, attrs, tau)
     if not keys:
         return _product(r, s, attrs, tau)
-    per_key = s.df.where("__real").groupBy(*keys).agg(F.count("*").alias("__n"))
-    heads = r.df.join(per_key, keys, "left").withColumn("__n", F.when(F.col("__real"), F.coalesce("__n", F.lit(0))).otherwise(0))
-    held = r.engine.barrier(heads.select(*r.attrs, "__real", F.col("__pos").alias("__rank"), "__n"))
+    left, right = _in_key(r, keys), _in_key(s, keys)
+    heads = by_key(left, _totals(s, keys, "__n"), keys).withColumn("__n", F.when(F.col("__real"), F.coalesce("__n", F.lit(0))).otherwise(0))
+    held = r.engine.barrier(heads.select(*r.attrs, "__real", F.col("__pos").alias("__rank"), "__number", "__n"))
+    used = held.agg(F.sum("__n").alias("size"))
+    r.engine.needs("bounded_join", tau, used)
     placed = scan(r.engine, held, r.rows, sums={"__end": F.col("__n")})
-    _check(held.agg(F.sum("__n")).first()[0], tau)
-    number = F.row_number().over(Window.partitionBy(*keys).orderBy("__pos")) - 1
-    right = s.df.where("__real").withColumn("__number", number).select(*s.attrs, "__number")
-    pairs = placed.where("__real").join(right, keys).withColumn("__slot", F.col("__end") - F.col("__n") + F.col("__number"))
-    return slotted(PaddedTable(pairs, attrs, tau, r.engine), pairs)
+    blocks = lambda n: F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col(n) - 1) / MEET)))
+    block = F.floor(F.col("__number") / MEET)
+    # at most MEET rows of either side meet in one place, however many share a key
+    above = placed.where(F.col("__real") & (F.col("__n") > 0)).select(*r.attrs, block.alias("__down"), blocks("__n").alias("__across"), (F.col("__end") - F.col("__n")).alias("__from"))
+    below = right.where("__real").join(_totals(r, keys, "__m"), keys).select(*s.attrs, block.alias("__across"), blocks("__m").alias("__down"), "__number")
+    pairs = above.join(below, [*keys, "__down", "__across"]).withColumn("__slot", F.col("__from") + F.col("__number"))
+    return slotted(PaddedTable(pairs, attrs, tau, r.engine), pairs, used)
 
 
-def _check(size: int | None, tau: int) -> None:
-    if (size or 0) > tau:
-        raise OverflowError(f"the result has more than {tau} rows")
+#: Rows of one key that meet in one place of a padded join.
+MEET = 4096
+
+
+def _salted(t: PaddedTable) -> DataFrame:
+    return t.df.withColumn("__salt", F.pmod("__pos", F.lit(t.engine.partitions)).cast("int"))
+
+
+def _totals(t: PaddedTable, keys: list[str], name: str) -> DataFrame:
+    """How many real rows each key has."""
+    return t.df.where("__real").groupBy(*keys).agg(F.count("*").alias(name))
+
+
+def _in_key(t: PaddedTable, keys: list[str]) -> DataFrame:
+    """Adds ``__number``, counting the rows of each key from 0. Keys are parted by position, so a hot one is no single task."""
+    rows = _salted(t)
+    inside = F.row_number().over(Window.partitionBy("__real", *keys, "__salt").orderBy("__pos")) - 1
+    counts = rows.where("__real").groupBy(*keys, "__salt").agg(F.count("*").alias("__c"))  # a row per key and partition at most
+    before = F.sum("__c").over(Window.partitionBy(*keys).orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = counts.select(*keys, "__salt", F.coalesce(before, F.lit(0).cast("long")).alias("__before"))
+    return rows.withColumn("__inside", inside).join(offsets, [*keys, "__salt"], "left").withColumn("__number", F.coalesce("__before", F.lit(0)) + F.col("__inside")).drop("__salt", "__inside", "__before")
 
 
 def _product(r: PaddedTable, s: PaddedTable, attrs: tuple[str, ...], tau: int) -> PaddedTable:
     """No shared attribute: slots find their rows by division, without comparing keys."""
-    sides = []
-    for t in (r, s):
-        held = t.hold()
-        number = scan(t.engine, held.df.withColumn("__rank", F.col("__pos")), t.rows, sums={"__c": F.col("__real").cast("long")})
-        sides.append(t.engine.barrier(number.where("__real").withColumn("__number", F.col("__c") - 1).select(*t.attrs, "__number")))
-    n, m = (x.count() for x in sides)
-    _check(n * m, tau)
-    slots = r.engine.spark.range(min(tau, n * m)).select(F.col("id").alias("__slot"))
-    slots = slots.withColumns({"__a": F.floor(F.col("__slot") / max(m, 1)).cast("long"), "__b": F.col("__slot") % max(m, 1)})
+    held = [t.hold() for t in (r, s)]
+    sides = [numbered_real(t).select(*t.attrs, "__number") for t in held]
+    sizes = [t.df.agg(F.sum(F.col("__real").cast("long")).alias("__size")) for t in held]
+    n, m = (F.coalesce(F.col(c), F.lit(0)) for c in ("__height", "__width"))
+    both = sizes[0].toDF("__height").crossJoin(sizes[1].toDF("__width"))  # one row
+    used = both.select((n * m).alias("size"))
+    r.engine.needs("bounded_join", tau, used)
+    slots = r.engine.spark.range(tau).select(F.col("id").alias("__slot")).join(F.broadcast(both))
+    slots = slots.where(F.col("__slot") < n * m).select("__slot", F.expr("__slot div __width").alias("__a"), (F.col("__slot") % F.col("__width")).alias("__b"))
     pairs = slots.join(sides[0].withColumnRenamed("__number", "__a"), "__a").join(sides[1].withColumnRenamed("__number", "__b"), "__b")
-    return slotted(PaddedTable(pairs, attrs, tau, r.engine), pairs)
+    return slotted(PaddedTable(pairs, attrs, tau, r.engine), pairs, used)
 
 
 def _expand_and_fetch(r: PaddedTable, s: PaddedTable, keys: list[str], attrs: tuple[str, ...], tau: int) -> PaddedTable:
@@ -97,7 +119,7 @@ def _expand_and_fetch(r: PaddedTable, s: PaddedTable, keys: list[str], attrs: tu
     heads = engine.barrier(engine.opened(both, "__side", 1).select(F.col("__r").alias("__head"), "__dead", "__n", "__start", F.col("__pos").alias("__rank")))
     live = F.when(F.col("__dead"), F.lit(0)).otherwise(F.col("__n"))
     placed = scan(engine, heads, r.rows, sums={"__end": live}).withColumn("__n", live)
-    _check(heads.agg(F.sum(live)).first()[0], tau)
+    engine.needs("bounded_join", tau, heads.agg(F.sum(live).alias("size")))
     offset = F.col("__end") - F.col("__n")
     # a row without partners is parked behind all slots, where it can shadow none
     at = F.when(F.col("__n") > 0, offset).otherwise(F.lit(tau))

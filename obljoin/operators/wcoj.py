@@ -13,9 +13,8 @@ from obljoin.operators.padded import PaddedTable, concat
 from obljoin.operators.primitives import augment, compact, intersect, project, semijoin
 from obljoin.operators.triangle import mask
 from obljoin.operators.twoway import bounded_join
-from obljoin.plans.covers import tau as bound
 from obljoin.plans.hypergraph import JoinQuery
-from obljoin.plans.planner import next_step, plan_order
+from obljoin.plans.planner import next_step, plan_order, step_slots
 
 Instance = Mapping[str, PaddedTable]
 
@@ -34,13 +33,13 @@ def hidden_wcoj(
     order: tuple[tuple[str, ...], ...] | None = None,
     filter_all: bool = False,
 ) -> PaddedTable:
-    """The join in ``bound(query)`` slots.
+    """The join in as many slots as the last step of the policy allows (``product``: the product bound).
 
     ``j``: how many attributes a step adds (``single``, ``pair``, or what costs less). ``order``: the steps, last added first, to override the
     planner. ``fuse``: one bounded join for all parts of a step. ``filter_all``: semi-joins with relations that recursion has enforced already.
     """
     if order is None:
-        order = plan_order(query, sizes(instance), j, policy, keys)
+        order = plan_order(query, sizes(instance), j, policy, keys, fuse)
     return _solve(query, dict(instance), list(order), fuse, policy, keys, filter_all)
 
 
@@ -53,7 +52,7 @@ def _solve(query: JoinQuery, instance: dict[str, PaddedTable], order: list[tuple
     sub = query.induced(inner)
     below = {n: project(instance[n], a) if set(a) < set(query.relations[n]) else instance[n] for n, a in sub.edges}
     found = _solve(sub, {n: t.hold() for n, t in below.items()}, rest, fuse, policy, keys, filter_all)
-    limit = bound(query, sizes(instance), policy, keys)
+    limit = step_slots(query, sizes(instance), added, found.rows, policy, keys)
     touched = [n for n, a in query.edges if set(a) & set(added)]
     lists = [(n, instance[n], [x for x in query.relations[n] if x not in added]) for n in touched]
     counted = augment(found, lists).hold()
@@ -124,22 +123,22 @@ def _fused(parts: dict[tuple[str, ...], PaddedTable], query: JoinQuery, instance
     def keyed(df: DataFrame, own: list[str], part: int, real: Column) -> DataFrame:
         blank = lambda a: F.lit("").cast(kinds[a]) if kinds[a].simpleString() == "string" else F.lit(0).cast(kinds[a])
         values = {f"__key_{a}": F.when(real, F.col(a) if a in own else blank(a)) for a in inner}
-        return df.withColumns(values | {"__part": F.when(real, F.lit(part))})
+        return df.withColumns(values | {"__branch": F.when(real, F.lit(part))})
 
     left, right, at = None, None, 0
     for i, ((n,), part) in enumerate(parts.items()):
         own = [a for a in query.relations[n] if a != x]
-        mine = keyed(part.df, own, i, F.col("__real")).select(*inner, *names, "__part", "__real", "__pos")
+        mine = keyed(part.df, own, i, F.col("__real")).select(*inner, *names, "__branch", "__real", "__pos")
         # a tuple is real in one part only, so the parts share their slots
         left = mine if left is None else left.unionByName(mine)
         table = instance[n]
         theirs = keyed(table.df.select(*own, x, "__real", "__pos", *(F.lit(None).cast(kinds[a]).alias(a) for a in inner if a not in own)), own, i, F.col("__real"))
-        theirs = theirs.select(x, *names, "__part", "__real", (F.col("__pos") + at).alias("__pos"))
+        theirs = theirs.select(x, *names, "__branch", "__real", (F.col("__pos") + at).alias("__pos"))
         at += table.rows
         right = theirs if right is None else right.unionByName(theirs)
-    keep = [*inner, *names, "__part"]
+    keep = [*inner, *names, "__branch"]
     left = left.groupBy("__pos").agg(F.max("__real").alias("__real"), *(F.max(c).alias(c) for c in keep))
     r = PaddedTable(left.select(*keep, "__real", "__pos"), tuple(keep), first.rows, first.engine).hold()
-    s = PaddedTable(right.select(x, *names, "__part", "__real", "__pos"), (x, *names, "__part"), at, first.engine).hold()
-    grown = bounded_join(r, s, limit, on=[*names, "__part"])
+    s = PaddedTable(right.select(x, *names, "__branch", "__real", "__pos"), (x, *names, "__branch"), at, first.engine).hold()
+    grown = bounded_join(r, s, limit, on=[*names, "__branch"])
     return replace(grown, df=grown.df.select(*inner, x, "__real", "__pos"), attrs=(*inner, x))

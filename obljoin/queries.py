@@ -12,7 +12,6 @@ from obljoin.operators.cover_join import cover_join
 from obljoin.operators.decomposed import decomposed_join
 from obljoin.operators.padded import PaddedTable, reveal
 from obljoin.operators.physical import Engine
-from obljoin.operators.primitives import semijoin
 from obljoin.operators.triangle import triangle_choice, triangle_delay
 from obljoin.operators.twoway import bounded_join, nested_loop
 from obljoin.operators.wcoj import hidden_wcoj, sizes
@@ -21,10 +20,6 @@ from obljoin.sources.workloads import WORKLOADS, Workload
 
 Query = Callable[[SparkSession, str], DataFrame]
 
-#: Declared keys of the relations, as public as the schema.
-KEYS = {"N": ("nat",), "C": ("cust",), "O": ("ord",), "S": ("supp",), "P": ("part",), "N1": ("cn",), "N2": ("sn",), "R1": ("part",), "R2": ("supp",), "R3": ("ord",)}
-
-
 def engine_for(spark: SparkSession, slots: int, mode: str) -> Engine:
     """As many partitions as the public number of slots needs, at most what the session has."""
     most = int(spark.conf.get("spark.sql.shuffle.partitions"))
@@ -35,7 +30,7 @@ def _instance(work: Workload, spark: SparkSession, sf_dir: str, mode: str) -> tu
     """The padded relations and the product bound, for which the engine is sized."""
     held = work.instance(engine_for(spark, 1, mode), sf_dir)
     limit = bound(work.query, sizes(held))
-    engine = engine_for(spark, min(limit, 1 << 24), mode)
+    engine = engine_for(spark, limit, mode)
     return {n: replace(t, engine=engine) for n, t in held.items()}, limit
 
 
@@ -66,13 +61,9 @@ def _wcoj(**options):
     return lambda work, held, limit: hidden_wcoj(work.query, held, **options)
 
 
-def _keys_of(work: Workload) -> dict[str, tuple[str, ...]]:
-    return {n: k for n, k in KEYS.items() if n in work.relations and set(k) <= set(work.relations[n][0])}
-
-
 def _decomposed(tau):
     def run(work: Workload, held: dict[str, PaddedTable], limit: int) -> PaddedTable:
-        return decomposed_join(work.query, held, tau(held) if callable(tau) else tau, keys=_keys_of(work))
+        return decomposed_join(work.query, held, tau(held) if callable(tau) else tau, keys=work.keys)
 
     return run
 
@@ -95,31 +86,38 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     for w in ("w4b", "w4c"):
         add(f"tri_choice_hidden_{w}", w, method(w, "hidden", _triangle(triangle_choice)))
         add(f"tri_delay_hidden_{w}", w, method(w, "hidden", _triangle(triangle_delay)))
-    for w in ("w1", "w2", "w3", "w4b", "w7u", "w8b", "w10", "w11", "w16", "w17", "w18", "w19", "w20"):
+    for w in ("w1", "w2", "w3", "w4b", "w7", "w7u", "w8b", "w10", "w11", "w16", "w17", "w18", "w19", "w20"):
         add(f"wcoj_single_{w}", w, method(w, "padded", _wcoj(j="single")))
-    for w in ("w1", "w4b", "w7u", "w10", "w11"):
+    for w in ("w1", "w4b", "w7", "w7u", "w10", "w11"):
         add(f"wcoj_pair_{w}", w, method(w, "padded", _wcoj(j="pair")))
-    for w in ("w1", "w4b", "w7u", "w10"):
+    for w in ("w1", "w4b", "w7", "w7u", "w10"):
         add(f"wcoj_fused_{w}", w, method(w, "padded", _wcoj(j="single", fuse=True)))
     add("wcoj_hidden_w4b", "w4b", method("w4b", "hidden", _wcoj(j="single")))
     add("wcoj_pair_hidden_w4b", "w4b", method("w4b", "hidden", _wcoj(j="pair")))
-    for w in ("w4", "w4b", "w7u", "w14", "w17", "w18"):
+    add("wcoj_fused_hidden_w4b", "w4b", method("w4b", "hidden", _wcoj(j="single", fuse=True)))
+    for w in ("w4", "w4b", "w7u", "w8", "w9", "w14", "w17", "w18"):
         add(f"cover_join_{w}", w, method(w, "padded", lambda work, held, limit: cover_join(work.query, held)))
     add("cover_join_all_w4b", "w4b", method("w4b", "padded", lambda work, held, limit: cover_join(work.query, held, "all")))
+    add("cover_join_hidden_w4b", "w4b", method("w4b", "hidden", lambda work, held, limit: cover_join(work.query, held)))
+    add("decomposed_hidden_w14", "w14", method("w14", "hidden", _decomposed(lambda held: held["C"].rows * 5)))
+    add("decomposed_hidden_w4b", "w4b", method("w4b", "hidden", _decomposed(lambda held: held["R3"].rows * 5)))
     add("decomposed_w5", "w5", method("w5", "padded", _decomposed("keys")))
     add("decomposed_w6", "w6", method("w6", "padded", _decomposed("keys")))
     add("decomposed_w7", "w7", method("w7", "padded", _decomposed(lambda held: held["L"].rows)))
     add("decomposed_w8", "w8", method("w8", "padded", _decomposed("exact")))
     add("decomposed_w12", "w12", method("w12", "padded", _decomposed(lambda held: held["R1"].rows * 2)))
     add("decomposed_w13", "w13", method("w13", "padded", _decomposed("exact")))
-    add("keyed_boat_w9", "w9", method("w9", "padded", _boat))
+    add("decomposed_w9", "w9", method("w9", "padded", _decomposed(lambda held: held["R4"].rows)))
     for w in ("w14", "w15a", "w15b", "w21"):
         add(f"bounded_join_{w}", w, method(w, "padded", _two))
-    for w in ("w15a", "w15b"):
+    for w in ("w14", "w15a", "w15b"):
         add(f"bounded_join_hidden_{w}", w, method(w, "hidden", _two))
     for w in ("w14", "w18", "w22"):
         add(f"nested_loop_{w}", w, method(w, "padded", lambda work, held, limit: nested_loop(*held.values())))
         add(f"nested_loop_tiled_{w}", w, method(w, "padded", lambda work, held, limit: nested_loop(*held.values(), tiling="recursive", tile=1 << 16)))
+    for w in ("w17", "w18"):
+        add(f"nested_loop_hidden_{w}", w, method(w, "hidden", lambda work, held, limit: _loops(list(held.values()), "flat")))
+        add(f"nested_loop_tiled_hidden_{w}", w, method(w, "hidden", lambda work, held, limit: _loops(list(held.values()), "recursive")))
     for w in ("w1", "w2", "w3", "w4"):
         add(f"plain_choice_{w}", w, plain(w, lambda work, f: baselines.triangle_choice_plain(f["R1"], f["R2"], f["R3"])))
         add(f"plain_delay_{w}", w, plain(w, lambda work, f: baselines.triangle_delay_plain(f["R1"], f["R2"], f["R3"])))
@@ -133,12 +131,12 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     return queries, oracles
 
 
-def _boat(work: Workload, held: dict[str, PaddedTable], limit: int) -> PaddedTable:
-    """The planks are looked up by their keys, so every step has the rows of the first wide relation; the other one filters."""
-    out = held["R4"]
-    for n in ("R1", "R2", "R3"):
-        out = bounded_join(out, held[n], held["R4"].rows)
-    return semijoin(out, held["R5"])
+def _loops(tables: list[PaddedTable], tiling: str) -> PaddedTable:
+    """Nested loops over all relations, one after the other."""
+    out = tables[0]
+    for t in tables[1:]:
+        out = nested_loop(out, t, tiling=tiling, tile=256).hold()
+    return out
 
 
 CORE_QUERIES, CORE_ORACLES = build()

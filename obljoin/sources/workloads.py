@@ -5,7 +5,7 @@ Each relation is a SELECT that Spark and DuckDB both read; ``{table}`` stands fo
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -16,7 +16,10 @@ from obljoin.plans.hypergraph import JoinQuery
 
 @dataclass(frozen=True)
 class Workload:
+    """``keys``: declared keys of some relations, as public as the schema."""
+
     relations: dict[str, tuple[tuple[str, ...], str]]
+    keys: dict[str, tuple[str, ...]] = field(default_factory=dict)
 
     @property
     def query(self) -> JoinQuery:
@@ -64,10 +67,11 @@ def _w(**relations: str) -> Workload:
     return Workload(out)
 
 
-def _edges(modulus: int, remainder: int, names: str) -> str:
+def _edges(names: str, kind: str = "TRUE", columns: str = "s, d") -> str:
+    """From the user of every event to that of the next one; ``kind`` selects events by their value."""
     return (
-        f"{names}: SELECT DISTINCT s, d FROM (SELECT user_id AS s, lead(user_id) OVER (ORDER BY ts, event_id) AS d, event_id FROM {{events}}) AS moves"
-        f" WHERE d IS NOT NULL AND s <> d AND event_id % {modulus} = {remainder}"
+        f"{names}: SELECT DISTINCT {columns} FROM (SELECT user_id AS s, lead(user_id) OVER (ORDER BY ts, event_id) AS d, value FROM {{events}}) AS moves"
+        f" WHERE d IS NOT NULL AND s <> d AND {kind}"
     )
 
 
@@ -79,10 +83,8 @@ _CUSTOMER = "SELECT c_custkey, CAST(c_nationkey AS BIGINT) FROM {customer}"
 _SUPPLIER = "SELECT s_suppkey, CAST(s_nationkey AS BIGINT) FROM {supplier}"
 _ORDERS = "SELECT o_orderkey, o_custkey FROM {orders}"
 _GRADED = "{documents} AS d JOIN {labels} AS l ON d.doc_id = l.doc_id"
-_USERS = (
-    "SELECT DISTINCT least(s, d), greatest(s, d) FROM (SELECT user_id AS s, lead(user_id) OVER (ORDER BY ts, event_id) AS d, event_id FROM {events} WHERE user_id < 60) AS moves"
-    " WHERE d IS NOT NULL AND s <> d AND event_id % 3 = 0"
-)
+#: Events of small, large and very large value.
+_SMALL, _LARGE, _LARGER = "value < 5", "value > 100", "value > 113"
 _MONTH = "CAST(year(l_shipdate) * 12 + month(l_shipdate) AS BIGINT)"
 _RETURNED = "FROM {lineitem} WHERE l_returnflag = 'R' AND l_quantity >= 40"
 
@@ -93,7 +95,7 @@ WORKLOADS: dict[str, Workload] = {
         R2="line supp: SELECT DISTINCT CAST(l_linenumber AS BIGINT), l_suppkey FROM {lineitem} WHERE l_quantity < 5",
         R3="line part: SELECT DISTINCT CAST(l_linenumber AS BIGINT), l_partkey FROM {lineitem} WHERE l_discount = 0.05",
     ),
-    "w3": _w(R1=_edges(4, 0, "b c"), R2=_edges(4, 0, "a c"), R3=_edges(4, 0, "a b")),
+    "w3": _w(R1=_edges("b c"), R2=_edges("a c"), R3=_edges("a b")),
     "w4": _w(
         R1="typ k: SELECT DISTINCT event_type, props FROM {events} WHERE value < 10",
         R2="usr k: SELECT DISTINCT user_id, props FROM {events} WHERE value BETWEEN 10 AND 60",
@@ -144,12 +146,12 @@ WORKLOADS: dict[str, Workload] = {
         R3=f"a b d: SELECT DISTINCT l_suppkey, CAST(l_linenumber AS BIGINT), CAST(l_quantity AS BIGINT) {_RETURNED}",
         R4=f"a b c: SELECT DISTINCT l_suppkey, CAST(l_linenumber AS BIGINT), {_MONTH} {_RETURNED}",
     ),
-    "w11": _w(**{f"R{i}": f"{x} {y}: {_USERS}" for i, (x, y) in enumerate(("ab", "ac", "ad", "bc", "bd", "cd"), 1)}),
+    "w11": _w(**{f"R{i}": _edges(f"{x} {y}", _LARGE, "least(s, d), greatest(s, d)") for i, (x, y) in enumerate(("ab", "ac", "ad", "bc", "bd", "cd"), 1)}),
     "w12": _w(R1=_R1, R2=_R2, R3=_R3, S=f"supp nat: {_SUPPLIER}", N=f"nat reg: {_NATION}"),
-    "w13": _w(A1=_edges(16, 0, "h a"), A2=_edges(16, 0, "a b"), A3=_edges(16, 0, "h b"), B1=_edges(16, 1, "h c"), B2=_edges(16, 1, "c d"), B3=_edges(16, 1, "h d")),
+    "w13": _w(A1=_edges("h a", _SMALL), A2=_edges("a b", _SMALL), A3=_edges("h b", _SMALL), B1=_edges("h c", _LARGER), B2=_edges("c d", _LARGER), B3=_edges("h d", _LARGER)),
     "w14": _w(C=f"cust nat: {_CUSTOMER}", S=f"supp nat: {_SUPPLIER}"),
-    "w15a": _w(R="a b: SELECT o_orderkey, o_orderkey AS other FROM {orders} WHERE o_orderkey < 100", S="b c: SELECT o_orderkey, o_orderkey AS other FROM {orders} WHERE o_orderkey < 100"),
-    "w15b": _w(R="a b: SELECT o_orderkey, CAST(0 AS BIGINT) FROM {orders} WHERE o_orderkey < 100", S="b c: SELECT CAST(0 AS BIGINT), o_orderkey FROM {orders} WHERE o_orderkey < 100"),
+    "w15a": _w(R="a b: SELECT s_suppkey, s_suppkey AS other FROM {supplier}", S="b c: SELECT s_suppkey, s_suppkey AS other FROM {supplier}"),
+    "w15b": _w(R="a b: SELECT s_suppkey, CAST(0 AS BIGINT) FROM {supplier}", S="b c: SELECT CAST(0 AS BIGINT), s_suppkey FROM {supplier}"),
     "w16": _w(**{f"R{i}": f"{x} {y}: SELECT CAST(x.n_nationkey AS BIGINT), CAST(y.n_nationkey AS BIGINT) FROM {{nation}} AS x CROSS JOIN {{nation}} AS y" for i, (x, y) in enumerate(("bc", "ac", "ab"), 1)}),
     "w17": _w(
         A="nat: SELECT DISTINCT CAST(c_nationkey AS BIGINT) FROM {customer} WHERE c_acctbal > 5000",
@@ -162,5 +164,19 @@ WORKLOADS: dict[str, Workload] = {
     "w21": _w(
         A="host lang: SELECT DISTINCT regexp_extract(url, '^https?://([^/]+)', 1), regexp_extract(html, 'lang=\"([a-z]+)\"', 1) FROM {pages}", B="lang source: SELECT DISTINCT lang, source FROM {documents}"
     ),
-    "w22": _w(A="label va: SELECT CAST(label AS BIGINT), vec_id FROM {embeddings} WHERE vec_id < 50", B="label vb: SELECT CAST(label AS BIGINT), vec_id FROM {embeddings} WHERE vec_id >= 450"),
+    "w22": _w(A="label va: SELECT CAST(label AS BIGINT), vec_id FROM {embeddings}", B="label vb: SELECT CAST(label AS BIGINT), vec_id FROM {embeddings}"),
+}
+
+#: Primary keys of the given tables, by workload.
+_KEYS = {
+    "w5": {"N": ("nat",), "C": ("cust",), "O": ("ord",)},
+    "w6": {"O": ("ord",), "P": ("part",), "S": ("supp",)},
+    "w7": {"O": ("ord",), "C": ("cust",), "S": ("supp",)},
+    "w7u": {"O": ("ord",), "C": ("cust",), "S": ("supp",)},
+    "w8": {"O": ("ord",), "C": ("cust",), "N1": ("cn",), "N2": ("sn",), "S": ("supp",)},
+    "w8b": {"O": ("ord",), "C": ("cust",), "N": ("nat",), "S": ("supp",)},
+    "w9": {"R1": ("part",), "R2": ("supp",), "R3": ("ord",)},
+    "w12": {"S": ("supp",), "N": ("nat",)},
+    "w14": {"C": ("cust",), "S": ("supp",)},
 }
+WORKLOADS = {name: replace(w, keys=_KEYS.get(name, {})) for name, w in WORKLOADS.items()}

@@ -40,12 +40,23 @@ def _pair(mode: str, run: Callable) -> Query:
     return query
 
 
+def _rich(mode: str, run: Callable) -> Query:
+    """Over customers and the nations of suppliers with much on their accounts."""
+
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        e = _engine(spark, mode)
+        rich = load(e, _read(spark, sf_dir, "supplier").where("s_acctbal > 7000").select(F.col("s_nationkey").cast("long").alias("nat")), ["nat"])
+        return run(WORKLOADS["w14"].instance(e, sf_dir)["C"], rich)
+
+    return query
+
+
 _W14 = WORKLOADS["w14"].with_sql()
 
 
-def _sorted_by(how: str) -> Query:
+def _sorted_by(how: str, mode: str = "padded") -> Query:
     def query(spark: SparkSession, sf_dir: str) -> DataFrame:
-        t = load(_engine(spark), _read(spark, sf_dir, "supplier"), ["s_nationkey", "s_suppkey"])
+        t = load(_engine(spark, mode), _read(spark, sf_dir, "supplier"), ["s_nationkey", "s_suppkey"])
         done = sort(t, ["s_nationkey", "s_suppkey"], how)
         return done.df.where("__real").select("s_suppkey", F.col("__pos").alias("rank"))
 
@@ -138,7 +149,7 @@ def _set_sql(word: str) -> str:
 
 
 def _secret_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    t = source(_engine(spark), _read(spark, sf_dir, "part"), ["p_partkey", "p_brand"], F.col("p_partkey") % 3 == 1)
+    t = source(_engine(spark), _read(spark, sf_dir, "part"), ["p_partkey", "p_brand"], F.col("p_size") > 16)
     return reveal(where(t, F.col("p_brand") > "Brand#2"))
 
 
@@ -165,19 +176,48 @@ def _text_join(mode: str) -> Query:
 
 
 def _epoch(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The first epoch of a stream of 64-row epochs, as a batch."""
-    rows = _read(spark, sf_dir, "events").select("event_id", "user_id").where("event_id < 64")
-    t, _ = padded_epoch(_engine(spark), rows, ["event_id", "user_id"], 96)
-    return t.df.groupBy(F.col("__real").alias("is_real")).agg(F.count("*").alias("n"))
+    """All events in epochs of EPOCH rows: real rows and dummies of the first epoch and of what waits."""
+    now, rest = padded_epoch(_engine(spark), _read(spark, sf_dir, "events").select("event_id", "user_id"), ["event_id", "user_id"], EPOCH)
+    both = now.df.select("__real", F.lit("first").alias("part")).unionByName(rest.select("__real", F.lit("waiting").alias("part")))
+    return both.groupBy("part", F.col("__real").alias("is_real")).agg(F.count("*").alias("n"))
+
+
+EPOCH = 4096
+
+
+def _epoch_sql() -> str:
+    return f"""
+        WITH k AS (SELECT count(*) AS n, least(count(*), {EPOCH}) AS now, greatest(1, CAST(ceil(count(*) / {EPOCH}.0) AS BIGINT)) * {EPOCH} AS slots FROM events)
+        SELECT * FROM (SELECT 'first' AS part, true AS is_real, now AS n FROM k UNION ALL SELECT 'first', false, {EPOCH} - now FROM k
+                       UNION ALL SELECT 'waiting', true, n - now FROM k UNION ALL SELECT 'waiting', false, slots - {EPOCH} - (n - now) FROM k) WHERE n > 0"""
 
 
 def _payload(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """W22: pairs of vectors of one label, the label join first and the vectors fetched for what is left."""
+    """W22: pairs of vectors of one label by a padded loop, the vectors fetched for what is left, and their inner product in thousandths."""
     held = WORKLOADS["w22"].instance(_engine(spark), sf_dir)
-    pairs = reveal(nested_loop(held["A"], held["B"], F.col("va") < F.col("vb") - 400))
-    v = _read(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    both = pairs.join(v.select(F.col("vec_id").alias("va"), F.col("embedding").alias("x")), "va").join(v.select(F.col("vec_id").alias("vb"), F.col("embedding").alias("y")), "vb")
-    return both.select("label", "va", "vb", F.size("x").cast("long").alias("n"), (F.element_at("x", 1) > F.element_at("y", 1)).alias("first_larger"))
+    pairs = reveal(nested_loop(held["A"], held["B"], F.col("va") < F.col("vb")))
+    v = _read(spark, sf_dir, "embeddings").select("vec_id", F.transform("embedding", lambda x: F.round(x.cast("double") * 1000).cast("long")).alias("v"))
+    both = pairs.join(v.select(F.col("vec_id").alias("va"), F.col("v").alias("x")), "va").join(v.select(F.col("vec_id").alias("vb"), F.col("v").alias("y")), "vb")
+    product = F.aggregate(F.zip_with("x", "y", lambda x, y: x * y), F.lit(0).cast("long"), lambda s, x: s + x)
+    return both.select("label", "va", "vb", product.alias("product"))
+
+
+def _totals(mode: str) -> Query:
+    """Customers and the sum of their numbers per nation, by sorts and scans."""
+
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        t = WORKLOADS["w14"].instance(_engine(spark, mode), sf_dir)["C"]
+        return reveal(surface.totals(t, ["nat"], {"n": F.lit(1).cast("long"), "total": F.col("cust")}))
+
+    return query
+
+
+def _first(mode: str) -> Query:
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        t = WORKLOADS["w14"].instance(_engine(spark, mode), sf_dir)["C"]
+        return reveal(surface.first_per_group(t, ["nat"], [F.desc("cust")]))
+
+    return query
 
 
 def build() -> tuple[dict[str, Query], dict[str, str]]:
@@ -194,17 +234,20 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
             f"augment{end}", _pair(mode, lambda c, s: augment(s, [("C", c, ["nat"]), ("all", c, [])]).df.where("__real").select("supp", "nat", F.col("__deg_C").alias("partners"), F.col("__deg_all").alias("everyone"))),
             f"{_W14} SELECT supp, nat, (SELECT count(*) FROM C WHERE C.nat = S.nat) AS partners, (SELECT count(*) FROM C) AS everyone FROM S",
         )
-    add("antijoin", _pair("padded", lambda c, s: reveal(antijoin(c, s))), f"{_W14} SELECT * FROM C WHERE nat NOT IN (SELECT nat FROM S)")
-    add("intersect", _pair("padded", lambda c, s: reveal(intersect(project(c, ["nat"]), project(s, ["nat"])))), f"{_W14} SELECT nat FROM C INTERSECT SELECT nat FROM S")
-    add(
-        "compact", _pair("padded", lambda c, s: compact(where(c, F.col("cust") % 5 == 0), c.rows // 2).df.groupBy("__real").agg(F.count("*").alias("n"), F.max("__pos").alias("last")).select(F.col("__real").alias("is_real"), "n", "last")),
-        f"{_W14}, k AS (SELECT (SELECT count(*) FROM C WHERE cust % 5 = 0) AS r, (SELECT count(*) FROM C) // 2 AS t) SELECT true AS is_real, r AS n, r - 1 AS last FROM k UNION ALL SELECT false, t - r, t - 1 FROM k",
-    )
+        rich = "R AS (SELECT CAST(s_nationkey AS BIGINT) AS nat FROM supplier WHERE s_acctbal > 7000)"
+        add(f"antijoin{end}", _rich(mode, lambda c, r: reveal(antijoin(c, r))), f"{_W14}, {rich} SELECT * FROM C WHERE nat NOT IN (SELECT nat FROM R)")
+        add(f"intersect{end}", _rich(mode, lambda c, r: reveal(intersect(project(c, ["nat"]), r))), f"{_W14}, {rich} SELECT nat FROM C INTERSECT SELECT nat FROM R")
+        add(f"totals{end}", _totals(mode), f"{_W14} SELECT nat, count(*) AS n, CAST(sum(cust) AS BIGINT) AS total FROM C GROUP BY nat")
+        add(f"first_per_group{end}", _first(mode), f"{_W14} SELECT max(cust) AS cust, nat FROM C GROUP BY nat")
+        add(
+            f"compact{end}", _pair(mode, lambda c, s: compact(where(c, F.col("cust") % 5 == 0), c.rows // 2).df.groupBy("__real").agg(F.count("*").alias("n"), F.max("__pos").alias("last")).select(F.col("__real").alias("is_real"), "n", "last")),
+            f"{_W14}, k AS (SELECT (SELECT count(*) FROM C WHERE cust % 5 = 0) AS r, (SELECT count(*) FROM C) // 2 AS t) SELECT true AS is_real, r AS n, r - 1 AS last FROM k UNION ALL SELECT false, t - r, t - 1 FROM k",
+        )
     for mode, end in (("padded", ""), ("hidden", "_hidden")):
         add(f"lookup{end}", _lookup(mode), f"{_W14} SELECT supp, nat, CAST(n_regionkey AS BIGINT) AS reg FROM S JOIN nation ON nat = n_nationkey")
     add("encode", lambda spark, sf_dir: reveal(encode(load(_engine(spark), _read(spark, sf_dir, "part").select("p_partkey", "p_brand"), ["p_partkey", "p_brand"]), "p_brand")), "SELECT p_partkey, dense_rank() OVER (ORDER BY p_brand) - 1 AS p_brand FROM part")
-    for how in ("shuffle", "plain", "bitonic", "columns"):
-        add(f"sort_{how}", _sorted_by(how), "SELECT s_suppkey, row_number() OVER (ORDER BY s_nationkey, s_suppkey) - 1 AS rank FROM supplier")
+    for how, mode in (("shuffle", "padded"), ("plain", "padded"), ("bitonic", "padded"), ("columns", "padded"), ("shuffle", "hidden"), ("bitonic", "hidden"), ("columns", "hidden")):
+        add(f"sort_{how}" if mode == "padded" else f"sort_{how}_hidden", _sorted_by(how, mode), "SELECT s_suppkey, row_number() OVER (ORDER BY s_nationkey, s_suppkey) - 1 AS rank FROM supplier")
     for how in ("left", "right", "full"):
         add(f"outer_{how}", _outer(how), _outer_sql(how))
     add("interval_join", _interval, "SELECT DISTINCT CAST(p_size AS BIGINT) AS size, CAST(band AS BIGINT) AS band FROM part JOIN (VALUES (0, 0, 10), (1, 10, 30), (2, 25, 60)) AS b(band, lo, hi) ON p_size >= lo AND p_size < hi")
@@ -223,13 +266,17 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     add("union_distinct", _set_query(surface.union), _set_sql("UNION"))
     add("set_intersection", _set_query(surface.intersection), _set_sql("INTERSECT"))
     add("set_difference", _set_query(surface.difference), _set_sql("EXCEPT"))
-    add("secret_filter", _secret_filter, "SELECT p_partkey, p_brand FROM part WHERE p_partkey % 3 = 1 AND p_brand > 'Brand#2'")
+    add("secret_filter", _secret_filter, "SELECT p_partkey, p_brand FROM part WHERE p_size > 16 AND p_brand > 'Brand#2'")
     add("edge_null", _plans, "WITH d AS (SELECT DISTINCT CASE WHEN c_custkey % 3 <> 0 THEN CAST(c_nationkey AS BIGINT) END AS nat, c_custkey % 50 AS k FROM customer) SELECT * FROM d WHERE nat IN (SELECT nat FROM d WHERE k + 1 < 4 AND nat IS NOT NULL)")
     text = "SELECT CAST(n_nationkey AS BIGINT) AS nat, CAST(n_regionkey AS BIGINT) AS reg, r_name AS name, s_suppkey AS supp FROM nation JOIN region ON n_regionkey = r_regionkey JOIN supplier ON s_nationkey = n_nationkey"
     for mode in ("plain", "padded"):
         add(f"sql_join_{mode}", _text_join(mode), text)
-    add("padded_epoch", _epoch, "SELECT true AS is_real, count(*) AS n FROM events WHERE event_id < 64 UNION ALL SELECT false, 96 - count(*) FROM events WHERE event_id < 64")
-    add("payload_fetch", _payload, "SELECT CAST(a.label AS BIGINT) AS label, a.vec_id AS va, b.vec_id AS vb, CAST(len(a.embedding) AS BIGINT) AS n, a.embedding[1] > b.embedding[1] AS first_larger FROM embeddings a JOIN embeddings b ON a.label = b.label WHERE a.vec_id < 50 AND b.vec_id >= 450 AND a.vec_id < b.vec_id - 400")
+    add("padded_epoch", _epoch, _epoch_sql())
+    add(
+        "payload_fetch", _payload,
+        """WITH v AS (SELECT CAST(label AS BIGINT) AS label, vec_id, [CAST(round(CAST(x AS DOUBLE) * 1000) AS BIGINT) FOR x IN embedding] AS v FROM embeddings)
+           SELECT a.label, a.vec_id AS va, b.vec_id AS vb, CAST(list_sum([a.v[i] * b.v[i] FOR i IN generate_series(1, len(a.v))]) AS BIGINT) AS product FROM v a JOIN v b ON a.label = b.label AND a.vec_id < b.vec_id""",
+    )
     add("tumbling_windows", lambda spark, sf_dir: windowed_counts(_read(spark, sf_dir, "events"), "ts", ["event_type"], "1 hour").drop("end"), "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n FROM events GROUP BY ALL")
     add(
         "sliding_windows", lambda spark, sf_dir: windowed_counts(_read(spark, sf_dir, "events"), "ts", [], "2 hours", "1 hour").drop("end"),
@@ -252,5 +299,9 @@ def build() -> tuple[dict[str, Query], dict[str, str]]:
     add("leak_report_w3", tables.leak_report, tables.leak_report_sql())
     add("delay_report_w3", tables.delay_report, tables.delay_report_sql())
     add("padding_table", tables.padding, tables.padding_sql())
+    for name in ("w1", "w2", "w3"):
+        add(f"step_report_{name}", lambda spark, sf_dir, name=name: tables.step_report(spark, sf_dir, name), tables.step_report_sql(name))
+    add("recursive_report_w3", tables.recursive_report, tables.recursive_report_sql())
+    add("cost_table", tables.costs, tables.costs_sql())
     return queries, oracles
 

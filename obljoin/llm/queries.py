@@ -119,7 +119,7 @@ def mixing_sql() -> str:
         k AS (SELECT domain, lang, source, CAST(floor(g3.b + 1e-6) AS BIGINT) AS given, CAST(f3.n AS BIGINT) AS held FROM g3 JOIN f3 USING (domain, lang, source)),
         r AS (SELECT d.*, given // held AS whole, given % held AS rest FROM d JOIN k USING (domain, lang, source)),
         o AS (SELECT *, sum(n) OVER (PARTITION BY domain, lang, source ORDER BY md5('8:' || whole || ':' || doc_id)[1:15], doc_id, n ROWS UNBOUNDED PRECEDING) AS upto FROM r),
-        c AS (SELECT *, whole + CASE WHEN rest > 0 AND upto <= rest THEN 1 ELSE 0 END AS copies FROM o)
+        c AS (SELECT *, whole + CASE WHEN rest > 0 AND 2 * upto - n <= 2 * rest THEN 1 ELSE 0 END AS copies FROM o)
         SELECT doc_id, domain, lang, source, CAST(n AS BIGINT) AS n_tokens, CAST(copies AS BIGINT) AS copies FROM c WHERE copies > 0
     """
 

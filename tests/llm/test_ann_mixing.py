@@ -118,18 +118,37 @@ def test_siblings_come_before_ancestors():
     assert mixing.budgets(supply, {("b",): 0}, 400, 2) == {("a", "x"): 20, ("a", "y"): 200, ("b", "x"): 0}
 
 
+def test_window_shares_match_exact_ones(spark):
+    rng = random.Random(5)
+    supply = {(rng.choice("abc"), rng.choice("xyz"), str(i)): rng.choice([0, rng.randint(1, 50), rng.randint(100, 900)]) for i in range(60)}
+    weights = {("a",): 0.5, ("b",): 3, ("b", "x"): 0, ("c", "y"): 2.5, ("a", "x", "3"): 7}
+    leaves = spark.createDataFrame([(*k, n) for k, n in supply.items()], "p string, q string, r string, mix_held long")
+    for budget, epochs in ((10, 1), (3000, 1), (3000, 2), (10**6, 3)):
+        got = {(r.p, r.q, r.r): r.mix_given for r in mixing.leaf_budgets(leaves, ["p", "q", "r"], weights, budget, epochs).collect()}
+        assert {k: got.get(k, 0) for k in supply} == mixing.budgets(supply, weights, budget, epochs)
+
+
+def test_many_leaves_go_by_shuffle(spark, monkeypatch):
+    docs = spark.range(300).select(F.col("id").alias("doc_id"), (F.col("id") % 7).cast("string").alias("source"), F.lit("a b c").alias("text"))
+    levels = {"source": F.col("source")}
+    run = lambda: sorted(tuple(r) for r in mixing.mix(docs, levels, {("3",): 2}, 0.5, 1).collect())
+    few = run()
+    monkeypatch.setattr(mixing, "BROADCAST_LEAVES", 0)
+    assert run() == few and 140 <= len(few) <= 160
+
+
 def test_mix_matches_brute_force(spark):
     rng = random.Random(4)
     rows = [(i, rng.choice(["en", "fr", None]), rng.choice(["s1", "s2", "s3"]), " ".join("w" * rng.randint(1, 9) for _ in range(rng.randint(0, 30)))) for i in range(400)]
     rows += [(7, "en", "s1", None), (None, "en", "s1", "a b c"), (8, "en", "s1", "a b"), (8, "en", "s1", "a b")]
-    docs = spark.createDataFrame([Row(doc_id=i, lang=a, source=s, text=t, mix_key="clash", copies=0) for i, a, s, t in rows], "doc_id long, lang string, source string, text string, mix_key string, copies int").drop("mix_key", "copies")
+    docs = spark.createDataFrame([Row(doc_id=i, lang=a, source=s, text=t, mix_key="clash", mix_0="x", copies=7) for i, a, s, t in rows], "doc_id long, lang string, source string, text string, mix_key string, mix_0 string, copies int")
     levels, weights = {"lang": F.col("lang"), "source": F.col("source")}, {("en",): 3, ("en", "s2"): 0.5}
     for budget, epochs in ((0.5, 1), (9000, 3), (10**9, 2)):
         out = mixing.mix(docs, levels, weights, budget, epochs, seed=3).collect()
         leaves, supply = {}, {}
         for i, a, s, t in rows:
             leaf = (a or "", s)
-            leaves.setdefault(leaf, []).append((i, len((t or "").split())))
+            leaves.setdefault(leaf, []).append((i, len((t or "").split()), t or ""))
             supply[leaf] = supply.get(leaf, 0) + len((t or "").split())
         total = sum(supply.values())
         given = mixing.budgets(supply, weights, int(total * budget) if isinstance(budget, float) else budget, epochs)
@@ -138,12 +157,13 @@ def test_mix_matches_brute_force(spark):
             if not supply[leaf] or not given[leaf]:
                 continue
             whole, rest = divmod(given[leaf], supply[leaf])
-            key = lambda d: (int(hashlib.md5(f"3:{whole}:{'' if d[0] is None else d[0]}".encode()).hexdigest()[:15], 16), d[0] or -1, d[1])  # noqa: B023, E731
+            key = lambda d: (int(hashlib.md5(f"3:{whole}:{'-' + hashlib.md5(d[2].encode()).hexdigest() if d[0] is None else d[0]}".encode()).hexdigest()[:15], 16), d[0] or -1, d[1])  # noqa: B023, E731
             used = 0
             for d in sorted(docs_of, key=key):
                 used += d[1]
-                want.append((d[0], d[1], whole + (rest > 0 and used <= rest)))
+                want.append((d[0], d[1], whole + (rest > 0 and 2 * used - d[1] <= 2 * rest)))
         got = sorted((r.doc_id or -1, r.n_tokens, r.copies) for r in out)
         assert got == sorted((i or -1, n, c) for i, n, c in want if c)
+        assert all(r.mix_key == "clash" and r.mix_0 == "x" for r in out)
     assert mixing.mix(docs.limit(0), levels, weights, 0.5).collect() == []
     assert mixing.repeat_copies(mixing.mix(docs, levels, weights, 10**9, 2)).count() == sum(r.copies for r in out)

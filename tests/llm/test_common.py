@@ -51,3 +51,13 @@ def test_keep_rows_tells_repeats_apart(spark):
     kept = keep_rows(docs, judged, F.col("n") == 1)
     assert kept.columns == docs.columns
     assert sorted(str(tuple(r)[:2]) for r in kept.collect()) == sorted(["(1, 'a')", "(1, 'b')", "(None, 'c')"])
+
+
+def test_keep_rows_with_clashing_names(spark):
+    names = ["_id", "_KEY", "_content", "_stay", "_all", "_n", "content"]
+    rows = [(i, t, *range(k, k + len(names))) for k, (i, t) in enumerate([(1, "a"), (1, "a"), (2, "b"), (None, None)])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, " + ", ".join(f"{n} long" for n in names))
+    judged = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("content"), F.row_number().over(__import__("pyspark").sql.Window.partitionBy("doc_id", "text").orderBy("_id")).alias("n"))
+    kept = keep_rows(docs, judged, F.col("n") == 1)
+    assert kept.columns == docs.columns
+    assert sorted(map(str, kept.collect())) == sorted(str(r) for r in docs.collect() if r["_id"] != 1)

@@ -7,7 +7,7 @@ from pyspark.sql import Row
 from pyspark.sql import functions as F
 
 from obljoin.llm import langid, queries, toxicity
-from obljoin.llm.common import utf8
+from obljoin.llm.common import blocks, utf8
 
 SF = "/root/testdata/sf0.1"
 
@@ -47,6 +47,26 @@ def test_language_edges(spark):
     assert langid.identify(docs.limit(0), model).collect() == []
 
 
+def test_models_take_long_texts_repeated_ids_and_any_names(spark):
+    long = "banana papaya tatata " * 60_000
+    rows = [Row(doc_id=i % 20, text=t, lang=k, toxic=j, row="x", order=1, label=5) for i in range(30) for k, t, j in (("aa", "banana papaya", 0), ("bb", "orokoro momolo", 1))]
+    rows += [Row(doc_id=100, text=long, lang="aa", toxic=0, row="x", order=1, label=5), Row(doc_id=101, text=long, lang="aa", toxic=0, row="x", order=1, label=5)]
+    docs = spark.createDataFrame(rows)
+    out = langid.identify(docs, langid.train(docs, F.lit(True))).where("doc_id >= 100").collect()
+    assert [r.lang_pred for r in out] == ["aa", "aa"] and out[0].score == out[1].score
+    labels = docs.select("doc_id", "toxic").where("doc_id < 100")
+    model = toxicity.train(docs.select("doc_id", "text", "label", "order"), labels, F.lit(True))
+    scored = toxicity.score(docs, model).collect()
+    assert len(scored) == len(rows) and all(0 <= r.score <= 1 for r in scored)
+    assert len({r.score for r in scored if r.doc_id >= 100}) == 1
+
+
+def test_short_rows_make_small_blocks():
+    offsets = np.arange(10_001) * 3
+    sizes = [b - a for a, b in blocks(offsets, langid.BLOCK_BYTES, langid.BLOCK_ROWS)]
+    assert sum(sizes) == 10_000 and max(sizes) == langid.BLOCK_ROWS
+
+
 def test_bags_agree_with_scoring():
     texts = ["Some words, here!", "", "a", "ab abc", "é x " * 50, "one-two 3"]
     data, offsets = utf8(pa.array(texts))

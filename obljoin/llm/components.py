@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from obljoin.llm.common import saved
+from obljoin.llm.common import attach, saved
 
 
 def _print(edges: DataFrame) -> tuple:
@@ -16,16 +16,17 @@ def connected_components(edges: DataFrame) -> DataFrame:
     """(a, b) edges -> (node, root), root being the smallest node of the component; nodes without an edge are absent.
 
     Each round is a few aggregations and joins on the links alone; the number of rounds grows with the
-    logarithm of the longest chain. An empty table gives no rows; loops and repeated edges do not matter.
+    logarithm of the longest chain. The hub of a large star meets its links by broadcast, not in one task. An empty table gives no
+    rows; loops and repeated edges do not matter.
     """
     now = saved(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct())
     seen = _print(now)
     while seen[0]:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-        lowest = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(lowest, "a").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        least = saved(both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"), F.count("*").alias("n")))
+        large = saved(attach(both, least, ["a"], "n").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct())
+        lowest = saved(large.groupBy("a").agg(F.min("b").alias("m"), F.count("*").alias("n")))
+        small = attach(large, lowest, ["a"], "n").where("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
         now = saved(small.unionByName(lowest.select("a", F.col("m").alias("b"))).distinct())
         before, seen = seen, _print(now)
         if before == seen:

@@ -47,7 +47,7 @@ def simhash(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     levels, weights = mixing.document_tree()
-    return mixing.mix(docs, levels, weights, budget=MIX_SHARE, max_epochs=1, seed=8).select(*docs.columns)
+    return mixing.mix(docs, levels, weights, budget=MIX_SHARE, max_epochs=1, seed=8, counts=False)
 
 
 def byte_bpe(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

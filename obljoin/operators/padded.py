@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+from dataclasses import dataclass, field, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -22,6 +22,8 @@ class PaddedTable:
     rows: int
     engine: Engine
     counts: tuple[str, ...] = ()
+    #: What ``hold`` wrote; a table whose ``df`` is still this one is not written again.
+    stored: DataFrame | None = field(default=None, compare=False, repr=False)
 
     def columns(self) -> list[str]:
         return [*self.attrs, "__real", "__pos", *self.counts]
@@ -32,7 +34,10 @@ class PaddedTable:
 
     def hold(self) -> PaddedTable:
         """Materialises the table, so that later steps do not compute it again."""
-        return replace(self, df=self.engine.barrier(self.df.select(*self.columns())))
+        if self.stored is self.df:
+            return self
+        done = self.engine.barrier(self.df.select(*self.columns()))
+        return replace(self, df=done, stored=done)
 
 
 def masked(attrs: tuple[str, ...] | list[str], real: Column) -> dict[str, Column]:

@@ -83,10 +83,9 @@ def test_recursive_join(spark, text):
     want = brute(query, rows)
     for options in ({"j": "single"}, {"j": "pair"}, {"j": "single", "fuse": True}, {"filter_all": True}, {"policy": "power"}, {"policy": "step"}):
         assert real(hidden_wcoj(query, held, **options), query.attributes) == want, options
-        assert reveal(next(iter(held.values()))).count() >= 0  # nothing overflowed
 
 
-@pytest.mark.parametrize("options", [{"j": "single"}, {"j": "pair"}, {"j": "single", "fuse": True}, {"filter_all": True}])
+@pytest.mark.parametrize("options", [{"j": "single", "fuse": True}, {"j": "pair"}])
 def test_recursive_join_hidden(spark, options):
     rows, held, _ = setup(spark, TRIANGLE, 3, "hidden", size=5, domain=3)
     assert sorted(tuple(r) for r in reveal(hidden_wcoj(TRIANGLE, held, **options)).select(*TRIANGLE.attributes).collect()) == brute(TRIANGLE, rows)

@@ -174,7 +174,8 @@ def test_declared_bounds_are_enforced(spark):
     rows, held, engine = setup(spark, query, 5)
     n = len(brute(query, rows))
     assert real(bounded_join(held["R"], held["S"], n), query.attributes) == brute(query, rows)
-    for small in (bounded_join(held["R"], held["S"], n - 1), compact(held["R"], 3)):  # nothing stops before the client looks
+    for make in (lambda: bounded_join(held["R"], held["S"], n - 1), lambda: compact(held["R"], 3)):
+        small = make()  # nothing stops before the client looks
         assert small.df.count() == small.rows
         with pytest.raises(OverflowError):
             reveal(small)
